@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -53,7 +54,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = 4
         if not batch.num_rows:
             continue
         column = batch.column(text)
-        sizes = np.asarray(pa.compute.binary_length(column).fill_null(0), dtype=np.int64)
+        sizes = np.asarray(pc.binary_length(column).fill_null(0), dtype=np.int64)
         part = np.cumsum(sizes) // limit
         edges = np.flatnonzero(np.diff(part)) + 1
         for a, b in zip([0, *edges], [*edges, batch.num_rows]):
@@ -62,7 +63,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = 4
 
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """A string column's bytes and its n+1 offsets; nulls are empty."""
-    column = pa.compute.fill_null(column, "").cast(pa.large_binary())
+    column = pc.fill_null(column, "").cast(pa.large_binary())
     offsets = np.frombuffer(column.buffers()[1], dtype=np.int64)[column.offset : column.offset + len(column) + 1]
     data = np.frombuffer(column.buffers()[2], dtype=np.uint8)[offsets[0] : offsets[-1]] if column.buffers()[2] else np.zeros(0, np.uint8)
     return data, offsets - offsets[0]
