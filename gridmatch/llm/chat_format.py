@@ -1,9 +1,9 @@
 """Chat formatting of reply trees, with DataFrame functions only.
 
-Messages form trees by parent.  Paths from the roots are found by self-joins of ids that double
-the known part of every path, so a tree of depth d takes log2(d) joins and no text moves; the
-branches of a conversation are ranked by score, and the texts meet their path in one exchange
-by conversation.
+Messages form trees by parent.  Branches are found by self-joins of ids whose jumps
+double each time, so a tree of depth d takes log2(d) joins and no text moves; the branches of a
+conversation are ranked by score, the jumps mark the nodes of the chosen paths, and the texts
+meet their marks in one exchange by conversation.
 
 Each turn is written as ``<s>role\\ntext</s>\\n``.  A control string inside a text gets one more
 backslash after its first character (``</s>`` becomes ``<\\/s>``), whatever number it has, so no
@@ -52,45 +52,57 @@ def linear_nodes(messages: DataFrame) -> DataFrame:
     return ids.withColumn("parent", F.lag("node").over(Window.partitionBy("conv").orderBy("node"))).withColumn("score", F.lit(0.0))
 
 
-def branches(nodes: DataFrame) -> DataFrame:
-    """Root-to-leaf paths of `nodes` (conv, node, parent, score): conv, path, score (the path's sum)."""
+def branches(nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """Leaves of `nodes` (conv, node, parent, score) with their path's length and score, and the
+    jumps (conv, node, up) over 1, 2, 4, ... parents that found them."""
     nodes = cut(nodes)
-    state = nodes.select("conv", "node", F.col("parent").alias("up"), F.array("node").alias("path"), "score")
-    while not state.filter("up IS NOT NULL").isEmpty():
-        a, b = state.alias("a"), state.alias("b")
-        state = cut(
-            a.join(b, (F.col("a.conv") == F.col("b.conv")) & (F.col("a.up") == F.col("b.node")), "left")
-            .select(
-                "a.conv",
-                "a.node",
-                F.col("b.up").alias("up"),
-                F.when(F.col("b.path").isNull(), F.col("a.path")).otherwise(F.concat("b.path", "a.path")).alias("path"),
-                (F.col("a.score") + F.coalesce("b.score", F.lit(0.0))).alias("score"),
-            )
-            .filter(F.size(F.array_distinct("path")) == F.size("path"))
-        )
+    jumps: list[DataFrame] = []
+    state = nodes.select("conv", "node", F.col("parent").alias("up"), F.lit(1).cast("long").alias("depth"), "score")
+    n = None
+    while True:
+        open_ = state.filter("up IS NOT NULL")
+        if open_.isEmpty():
+            break
+        n = nodes.count() if n is None else n
+        if 1 << len(jumps) > 2 * n:  # longer than any path: what is left runs in circles
+            state = state.filter("up IS NULL")
+            break
+        jumps.append(open_.select("conv", "node", "up"))
+        b = state.select("conv", F.col("node").alias("up"), F.col("up").alias("up2"), F.col("depth").alias("d2"), F.col("score").alias("s2"))
+        on = open_.join(b, ["conv", "up"], "left").select("conv", "node", F.col("up2").alias("up"), (F.col("depth") + F.coalesce("d2", F.lit(0))).alias("depth"), (F.col("score") + F.coalesce("s2", F.lit(0.0))).alias("score"))
+        state = cut(state.filter("up IS NULL").union(on))
     inner = nodes.filter("parent IS NOT NULL").select("conv", F.col("parent").alias("node")).distinct()
-    return state.join(inner, ["conv", "node"], "left_anti").select("conv", "path", "score")
+    return state.join(inner, ["conv", "node"], "left_anti").select("conv", "node", "depth", "score"), jumps
 
 
-def ranked(paths: DataFrame, keep: int | None = 1) -> DataFrame:
-    """The `keep` best branches of each conversation (all for None): conv, branches (rank, path)."""
+def ranked(leaves: DataFrame, keep: int | None = 1) -> DataFrame:
+    """The `keep` best leaves of each conversation (all for None), with their rank."""
     if keep == 1:
-        best = F.min(F.struct((-F.col("score")).alias("s"), "path")).alias("b")
-        return paths.groupBy("conv").agg(best).select("conv", F.array(F.struct(F.lit(1).alias("rank"), F.col("b.path").alias("path"))).alias("branches"))
-    order = Window.partitionBy("conv").orderBy(F.desc("score"), "path")
-    rows = paths.withColumn("rank", F.row_number().over(order))
-    if keep is not None:
-        rows = rows.filter(F.col("rank") <= keep)
-    return rows.groupBy("conv").agg(F.collect_list(F.struct("rank", "path")).alias("branches"))
+        best = F.min(F.struct((-F.col("score")).alias("s"), "node", "depth")).alias("b")
+        return leaves.groupBy("conv").agg(best).select("conv", "b.node", "b.depth", F.lit(1).alias("rank"))
+    rows = leaves.withColumn("rank", F.row_number().over(Window.partitionBy("conv").orderBy(F.desc("score"), "node")))
+    return (rows if keep is None else rows.filter(F.col("rank") <= keep)).select("conv", "node", "depth", "rank")
 
 
-def format_paths(messages: DataFrame, chosen: DataFrame) -> DataFrame:
-    """conv_id, rank, n_messages, formatted, loss (spans of the assistant's texts: start, len)."""
+def path_marks(leaves: DataFrame, jumps: list[DataFrame]) -> DataFrame:
+    """Every node of the leaves' paths: conv, node, rank, depth.  Jumps from the longest to the
+    shortest reach each ancestor once, so the rows are as many as the paths' nodes."""
+    marks = cut(leaves.select("conv", "node", "rank", "depth"))
+    for i in range(len(jumps) - 1, -1, -1):
+        up = marks.join(jumps[i], ["conv", "node"]).select("conv", F.col("up").alias("node"), "rank", (F.col("depth") - (1 << i)).alias("depth"))
+        marks = cut(marks.union(up.filter("depth > 0")))
+    return marks
+
+
+def format_paths(messages: DataFrame, marks: DataFrame) -> DataFrame:
+    """conv_id, rank, formatted, loss (spans of the assistant's texts: start, len)."""
     texts = messages.select(F.coalesce("conv_id", F.lit(NONE)).alias("conv"), F.coalesce("turn", F.lit(NONE)).alias("node"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    placed = texts.join(chosen, "conv").select("conv", "node", "role", "text", F.explode("branches").alias("b"))
-    placed = placed.withColumn("pos", F.array_position("b.path", F.col("node"))).filter("pos > 0")
-    turns = placed.groupBy("conv", F.col("b.rank").alias("rank")).agg(F.array_sort(F.collect_list(F.struct("pos", "role", "text"))).alias("turns"))
+    mark = F.struct("rank", F.col("depth").alias("pos"))
+    both = texts.withColumn("mark", F.expr("CAST(NULL AS STRUCT<rank: INT, pos: BIGINT>)")).unionByName(marks.select("conv", "node", F.lit(None).cast("string").alias("role"), F.lit(None).cast("string").alias("text"), mark.alias("mark")))
+    # one exchange by conversation serves marks, texts and the turns' list
+    met = both.repartition("conv").withColumn("marks", F.collect_list("mark").over(Window.partitionBy("conv", "node")))
+    placed = met.filter("role IS NOT NULL").select("conv", "role", "text", F.explode("marks").alias("m"))
+    turns = placed.groupBy("conv", F.col("m.rank").alias("rank")).agg(F.array_sort(F.collect_list(F.struct("m.pos", "role", "text"))).alias("turns"))
     pieces = F.transform("turns", lambda t: F.struct(t["role"].alias("role"), F.concat(F.lit(OPEN), _escape_role(t["role"]), F.lit("\n")).alias("head"), escape(t["text"]).alias("body")))
     out = turns.select("conv", "rank", pieces.alias("p"))
     step = lambda acc, t: F.struct(
@@ -118,7 +130,8 @@ def read_back(formatted: DataFrame) -> DataFrame:
 
 def format_conversations(messages: DataFrame, nodes: DataFrame | None = None, keep: int | None = 1) -> DataFrame:
     """Format the best branches of every tree; without `nodes`, rows follow each other by turn."""
-    return format_paths(messages, ranked(branches(nodes if nodes is not None else linear_nodes(messages)), keep))
+    leaves, jumps = branches(nodes if nodes is not None else linear_nodes(messages))
+    return format_paths(messages, path_marks(ranked(leaves, keep), jumps))
 
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
