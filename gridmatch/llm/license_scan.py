@@ -135,8 +135,8 @@ def scan(text: str | None, phrases: ahocorasick.Automaton) -> dict:
             if tokens:
                 labels |= evaluate(tokens)[0]
                 score = 1.0
-    first = line.count(" ", 0, starts[0] + 1) - 1 if starts else None
-    last = first + line.count(" ", starts[0] + 1, starts[-1] + 1) if starts else None
+    first = line.count(" ", 0, min(starts) + 1) - 1 if starts else None
+    last = first + line.count(" ", min(starts) + 1, max(starts) + 1) if starts else None
     return {"n_words": len(words), "n_base": len(starts), "first_word": first, "last_word": last, "base_labels": ",".join(sorted(base)), "labels": ",".join(sorted(base | labels)), "score": score}
 
 
