@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("source_mix", "quality_rules", "license_scan", "chat_format", "nearest", "packing", "near_duplicates", "web_archive", "toxicity")
+MODULES = ("source_mix", "substring_dedup", "quality_rules", "license_scan", "chat_format", "nearest", "packing", "near_duplicates", "web_archive", "toxicity")
 
 
 def _gather(what: str) -> dict:
