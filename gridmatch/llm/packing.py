@@ -30,32 +30,63 @@ CAPACITY, CLASSES, END_ID, FILL, BUCKETS = 4096, 64, 2, 0.97, 1024
 class Ids:
     """Token ids of a text as little-endian 32-bit bytes.
 
-    The tokenizer drops white space and never joins what it separates, so a text's ids are those
-    of its chunks between ASCII spaces, which are remembered (a bounded number of them)."""
+    The tokenizer drops white space, lowers case and never joins letters with punctuation, so a
+    text's ids are those of its chunks between ASCII spaces, and a chunk's are those of its
+    lower-case form before a last comma or stop, then that mark's.  Both are remembered for the
+    life of the worker (a bounded number of them)."""
 
-    def __init__(self, path: str, keep: int = 400_000):
+    def __init__(self, path: str, keep: int = 700_000):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.seen, self.keep = Tokenizer.from_file(path), {}, keep
-
-    def learn(self, chunks: set[bytes]) -> None:
-        new = list(chunks.difference(self.seen))
-        if len(self.seen) + len(new) > self.keep:
-            self.seen.clear()
-            new = list(chunks)
-        for a in range(0, len(new), 20_000):
-            part = new[a : a + 20_000]
-            for c, e in zip(part, self.tokenizer.encode_batch_fast([x.decode() for x in part], add_special_tokens=False)):
-                self.seen[c] = np.array(e.ids, "<u4").tobytes()
+        self.tokenizer, self.keep = Tokenizer.from_file(path), keep
+        self.chunks: dict[bytes, bytes] = {}
+        self.stems: dict[bytes, bytes] = {}
+        self.marks = {m: self._encoded(m) for m in (b",", b".", b"")}
+
+    def _encoded(self, chunk: bytes) -> bytes:
+        return np.array(self.tokenizer.encode(chunk.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+
+    @staticmethod
+    def parts(chunk: bytes) -> tuple[bytes, bytes]:
+        mark = chunk[-1:] if chunk[-1:] in (b",", b".") and chunk[-2:-1].isalpha() else b""
+        stem = chunk[: len(chunk) - len(mark)]
+        return (stem.lower() if stem.isascii() else stem), mark
+
+    def learn(self, new: set[bytes]) -> None:
+        if len(self.chunks) + len(new) > self.keep:
+            self.chunks.clear()
+        if len(self.stems) > self.keep:
+            self.stems.clear()
+        split = {c: self.parts(c) for c in new}
+        stems = {s for s, _ in split.values()}.difference(self.stems)
+        words = [s for s in stems if s.isalpha()]  # one word to the tokenizer: many go in one call
+        for a in range(0, len(words), 2000):
+            part = words[a : a + 2000]
+            e = self.tokenizer.encode(b" ".join(part).decode(), add_special_tokens=False)
+            edges = np.flatnonzero(np.diff(np.array(e.word_ids))) + 1
+            ids = np.array(e.ids, "<u4")
+            if len(edges) + 1 == len(part):
+                self.stems.update(zip(part, (x.tobytes() for x in np.split(ids, edges))))
+        for s in stems:
+            if s not in self.stems:
+                self.stems[s] = self._encoded(s)
+        for c, (s, m) in split.items():
+            self.chunks[c] = self.stems[s] + self.marks[m] if m else self.stems[s]
 
     def __call__(self, texts: list[bytes]) -> Iterator[bytes]:
-        chunks = [t.split() for t in texts]
-        self.learn(set().union(*chunks))
-        get = self.seen.__getitem__
-        for c in chunks:
+        split = [t.split() for t in texts]
+        every = set().union(*split)
+        new = every.difference(self.chunks)
+        if new:
+            self.learn(every if len(self.chunks) + len(new) > self.keep else new)
+        get = self.chunks.__getitem__
+        for c in split:
             yield b"".join(map(get, c))
 
 
+_IDS: dict[str, Ids] = {}
+
+
 def pieces(n: int, capacity: int = CAPACITY, classes: int = CLASSES, fill: float = FILL) -> Iterator[tuple[int, int]]:
     """(length, class) of the pieces of n tokens; class 0 is the tail."""
     least = capacity // classes
@@ -82,7 +113,7 @@ def _piece_rows(docs: DataFrame, path: str, keep: list[str], with_ids: bool, end
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        ids = Ids(path)
+        ids = _IDS.get(path) or _IDS.setdefault(path, Ids(path))
         for b in slices(batches, "_text"):
             texts = [(t.as_py() or "").encode() for t in b.column("_text")]
             at, start, length, crc, total, kind, raw = [], [], [], [], [], [], []
