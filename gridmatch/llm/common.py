@@ -48,7 +48,7 @@ def word_count(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], text: str | int = "text", limit: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Cut batches so that the text of each is about `limit` bytes at most (one long text may be more)."""
     for batch in batches:
         if not batch.num_rows:

@@ -35,7 +35,7 @@ class Ids:
     lower-case form before a last comma or stop, then that mark's.  Both are remembered for the
     life of the worker (a bounded number of them)."""
 
-    def __init__(self, path: str, keep: int = 700_000):
+    def __init__(self, path: str, keep: int = 500_000):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.keep = Tokenizer.from_file(path), keep

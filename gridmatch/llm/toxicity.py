@@ -53,7 +53,7 @@ class Weights:
         try:
             return [seen[w] for w in words]
         except KeyError:
-            if len(seen) > 400_000:
+            if len(seen) > 200_000:
                 seen.clear()
             get = self.lexicon.get
             for w in set(words).difference(seen):
@@ -74,7 +74,7 @@ def features(column: pa.Array, weights: Weights) -> np.ndarray:
     """One row of FEATURES for each text."""
     data, offsets = utf8(column)
     starts, ends, first = spans(data, offsets)
-    run = lambda kind: np.concatenate([[0], np.cumsum(kind[data], dtype=np.int64)])
+    run = lambda kind: np.concatenate([np.zeros(1, np.int32), np.cumsum(kind[data], dtype=np.int32)])
     letter, upper, mark, shout, odd = map(run, (_LETTER, _UPPER, _MARK, _SHOUT, _ODD))
     of_text = lambda c: np.diff(c[offsets])
     of_word = lambda flag: np.diff(np.concatenate([[0], np.cumsum(flag)])[first])
@@ -246,14 +246,16 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 12_000, max_terms: i
 def score(docs: DataFrame, model: Model, keep: list[str], text: str = "text") -> DataFrame:
     """`keep` columns and `score`, for every row."""
     schema = docs.select(*keep).schema.add("score", "double")
+    at = keep.index(text) if text in keep else len(keep)  # the text crosses once
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weights = Weights(model.lexicon)
-        for b in slices(batches, "_text"):
-            s = model.score(features(b.column("_text"), weights))
+        for b in slices(batches, at):
+            s = model.score(features(b.column(at), weights))
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keep))), pa.array(s)], [*keep, "score"])
 
-    return docs.select(*keep, F.col(text).alias("_text")).mapInArrow(rows, schema)
+    rows_in = docs.select(*keep) if text in keep else docs.select(*keep, F.col(text).alias("_text"))
+    return rows_in.mapInArrow(rows, schema)
 
 
 THRESHOLD = 0.7
