@@ -92,7 +92,12 @@ class Index:
 
     def _sorted_suffixes(self, longest: int, stop: np.ndarray) -> np.ndarray:
         """Suffixes within their segments, by prefix doubling; equal ones stay in text order."""
-        rank, at, h = self.text.copy(), np.arange(self.n), 1
+        at, h = np.arange(self.n), 1
+        rank = self.text
+        if int(rank.max()) < 1 << 20:  # the first three words fit one number
+            for i in (1, 2):
+                rank = rank << 21 | np.where(at + i <= stop, self.text[np.minimum(at + i, self.n - 1)], 0)
+            rank, h = np.unique(rank, return_inverse=True)[1], 3
         while h <= longest:
             after = np.where(at + h <= stop, rank[np.minimum(at + h, self.n - 1)], 0)
             key = rank * (int(rank.max()) + 1) + after
@@ -107,9 +112,10 @@ class Index:
         both = self.last.rank(np.concatenate([c, c]), np.concatenate([l, r]))
         return self.shift[c] + both[: len(c)], self.shift[c] + both[len(c) :]
 
-    def smaller_matches(self, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def smaller_matches(self, least: int, asked: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(segment, from, to): stretches of `least` words or more, within the segment, that occur
         in a smaller document; together they cover every window of `least` words that does.
+        Only `asked` segments are streamed (all by default).
 
         Each segment is read backwards from its end.  A match that cannot grow is reported if it
         is long enough, and reading starts again at the next window that is still open.  After a
@@ -120,7 +126,7 @@ class Index:
         l, r = np.zeros(k, np.int64), np.full(k, self.n, np.int64)
         probe = np.full(k, -1, np.int64)  # the word that ended the longer match, while half of it is tried
         back = np.zeros(k, np.int64)
-        live = np.flatnonzero(self.end - self.start >= least)
+        live = np.flatnonzero((self.end - self.start >= least) & (True if asked is None else asked))
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         while len(live):
             nl, nr = self.extend(self.text[p[live] - 1], l[live], r[live])

@@ -11,7 +11,9 @@ with one anchor are a segment.  The steps:
    the shard's segments are streamed through it, and the stretches above the window's length
    that occur in a smaller document are reported;
 4. an anchor with more than `HOT` different segments (a passage in very many contexts) would be
-   one large shard, so its segments are split into windows, which meet by their digest instead;
+   one large shard, so its segments are cut again by anchors of longer grams and go through
+   2 and 3 as shorter segments; where that does not spread them either (the passage's edges),
+   windows meet by their digest;
 5. the reported stretches join the texts, whose words they cover go.
 
 Everything is judged on the input.  Null texts have no words; a null doc_id removes nothing and
@@ -73,40 +75,49 @@ def _located(docs: DataFrame, window: int, gram: int) -> DataFrame:
     return docs.mapInArrow(run, "anchor long, digest long, doc_id long, th long, start int, n int")
 
 
-def _contents(window: int):
-    """Rows (doc_id, th, text, segs) to the segments' words, or to windows where the anchor is hot."""
+def _contents(window: int, gram: int | None):
+    """Rows (doc_id, th, text, segs) to the segments' words; where the anchor is hot, to shorter
+    segments by anchors of `gram` words, or to windows if there is none."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             data, offsets = utf8(b.column("text"))
             starts, ends, first = spans(data, offsets)
             words = word_hashes(data, starts, ends)
-            cols: list[list] = [[] for _ in range(6)]
+            cols: list[list] = [[] for _ in range(8)]
             for doc, th, x, segs in zip(b.column("doc_id").to_pylist(), b.column("th").to_pylist(), first, b.column("segs").to_pylist()):
                 for g in segs:
-                    s, n = x + g["start"], g["n"]
-                    if g["hot"]:
-                        at = np.arange(s, s + n)
-                        h = mix64(span_hashes(words[s : s + n + window - 1], at - s, at - s + window, base=0xA24BAED4963EE407)).view(np.int64)
-                        new = (h.tolist(), [doc] * n, [th] * n, range(g["start"], g["start"] + n), [n] * n, [None] * n)
+                    n = g["n"]
+                    own = words[x + g["start"] : x + g["start"] + n + window - 1]
+                    if not g["hot"]:
+                        new = ([g["anchor"]], [0], [doc], [th], [g["start"]], [n], [g["ask"]], [own.tobytes()])
                     else:
-                        new = ([g["anchor"]], [doc], [th], [g["start"]], [n], [words[s : s + n + window - 1].tobytes()])
+                        if gram:
+                            _, s, k, anchor, digest = segments(own, np.array([0, len(own)]), window, gram)
+                        else:
+                            s, k = np.arange(n), np.ones(n, np.int64)
+                            anchor = digest = mix64(span_hashes(own, s, s + window, base=0xA24BAED4963EE407))
+                        m = len(s)
+                        new = (anchor.view(np.int64).tolist(), digest.view(np.int64).tolist(), [doc] * m, [th] * m, (s + g["start"]).tolist(), k.tolist(), [True] * m, [None] * m)
                     for c, v in zip(cols, new):
                         c.extend(v)
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["key", "doc_id", "th", "start", "n", "words"])
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.bool_(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], CONTENT_NAMES)
 
     return run
 
 
+CONTENT_NAMES = ["anchor", "digest", "doc_id", "th", "start", "n", "ask", "words"]
+
+
 def _searched(window: int, shard_words: int):
-    """Rows sorted by key: whole anchors make shards of about `shard_words`; each is indexed and searched."""
+    """Rows sorted by anchor: whole anchors make shards of about `shard_words`; each is indexed and searched."""
 
     def shard(rows: list[tuple]) -> pa.RecordBatch:
         parts = [np.frombuffer(r[4], np.int64) for r in rows]
         # anchors keep apart: a shard's matches inside another anchor's segment are true matches too
         starts = np.cumsum([0, *map(len, parts)])[:-1]
-        s, a, b = Index(np.concatenate(parts), starts, np.array([r[1] for r in rows])).smaller_matches(window)
+        s, a, b = Index(np.concatenate(parts), starts, np.array([r[1] for r in rows])).smaller_matches(window, np.array([r[5] for r in rows]))
         at = np.array([r[3] for r in rows], np.int64)[s]
         return pa.RecordBatch.from_arrays([pa.array([rows[i][1] for i in s], pa.int64()), pa.array([rows[i][2] for i in s], pa.int64()), pa.array((at + a).astype(np.int32)), pa.array((at + b).astype(np.int32))], ["doc_id", "th", "a", "b"])
 
@@ -114,7 +125,7 @@ def _searched(window: int, shard_words: int):
         rows: list[tuple] = []
         held = 0
         for b in batches:
-            for row in zip(*(b.column(n).to_pylist() for n in ("key", "doc_id", "th", "start", "words"))):
+            for row in zip(*(b.column(n).to_pylist() for n in ("anchor", "doc_id", "th", "start", "words", "ask"))):
                 if held >= shard_words and rows[-1][0] != row[0]:
                     yield shard(rows)
                     rows, held = [], 0
@@ -126,25 +137,40 @@ def _searched(window: int, shard_words: int):
     return run
 
 
+
+
+
+def _resolved(found: DataFrame, known: DataFrame, window: int, grams: tuple[int, ...], hot: int, shard_words: int) -> DataFrame:
+    """The ranges to remove among the segments `found`; `grams` are those of the cuts left for hot anchors."""
+    kinds = found.groupBy("anchor", "digest").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
+    anchors = kinds.groupBy("anchor").agg(F.count("*").alias("kinds"), F.min("low").alias("l"), F.max("high").alias("h")).filter("l < h")
+    shared = kinds.join(anchors, "anchor").filter("kinds > 1 OR low < high").select("anchor", "digest", "low", "kinds", "l")
+    met = cut(found.join(shared, ["anchor", "digest"]).filter("doc_id > low OR kinds > 1"))
+    end = (F.col("start") + F.col("n") + window - 1).alias("b")
+    out = met.filter("doc_id > low").select("doc_id", "th", F.col("start").alias("a"), end)
+    # the anchor's smallest document is indexed, but has nothing smaller to be searched for
+    seg = F.struct("anchor", "start", "n", (F.col("kinds") > hot).alias("hot"), (F.col("doc_id") > F.col("l")).alias("ask"))
+    asked = met.filter("doc_id = low AND kinds > 1").groupBy("doc_id", "th").agg(F.collect_list(seg).alias("segs"))
+    gram = grams[0] if grams else None
+    contents = cut(known.join(asked, ["doc_id", "th"]).select("doc_id", "th", "text", "segs").mapInArrow(_contents(window, gram), "anchor long, digest long, doc_id long, th long, start int, n int, ask boolean, words binary"))
+    cold = contents.filter("words IS NOT NULL").repartition("anchor").sortWithinPartitions("anchor")
+    out = out.union(cold.select("anchor", "doc_id", "th", "start", "words", "ask").mapInArrow(_searched(window, shard_words), "doc_id long, th long, a int, b int"))
+    rest = contents.filter("words IS NULL").select("anchor", "digest", "doc_id", "th", "start", "n")
+    if gram and not rest.isEmpty():
+        return out.union(_resolved(rest, known, window, grams[1:], hot, shard_words))
+    # windows: equal digests are equal windows, so the smallest document of each is the answer
+    least = rest.groupBy("digest").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).filter("low < high").select("digest", "low")
+    return out.union(rest.join(least, "digest").filter("doc_id > low").select("doc_id", "th", F.col("start").alias("a"), (F.col("start") + window).alias("b")))
+
+
 def removals(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, hot: int = HOT, shard_words: int = SHARD_WORDS) -> DataFrame:
     """doc_id, th (text hash) and cuts (a, b): the word ranges to remove from each document.
     `docs` has doc_id, text and th."""
     known = docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text", "th")
-    found = _located(known, window, gram)
-    kinds = found.groupBy("anchor", "digest").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
-    anchors = kinds.groupBy("anchor").agg(F.count("*").alias("kinds"), F.min("low").alias("l"), F.max("high").alias("h")).filter("l < h").select("anchor", "kinds")
-    shared = kinds.join(anchors, "anchor").filter("kinds > 1 OR low < high").select("anchor", "digest", "low", "kinds")
-    met = cut(found.join(shared, ["anchor", "digest"]).filter("doc_id > low OR kinds > 1"))
-    copies = met.filter("doc_id > low").select("doc_id", "th", F.col("start").alias("a"), (F.col("start") + F.col("n") + window - 1).alias("b"))
-    seg = F.struct("anchor", "start", "n", (F.col("kinds") > hot).alias("hot"))
-    asked = met.filter("doc_id = low").groupBy("doc_id", "th").agg(F.collect_list(seg).alias("segs"))
-    contents = cut(known.join(asked, ["doc_id", "th"]).select("doc_id", "th", "text", "segs").mapInArrow(_contents(window), "key long, doc_id long, th long, start int, n int, words binary"))
-    ranges = "doc_id long, th long, a int, b int"
-    matched = contents.filter("words IS NOT NULL").repartition("key").sortWithinPartitions("key").select("key", "doc_id", "th", "start", "words").mapInArrow(_searched(window, shard_words), ranges)
-    split = contents.filter("words IS NULL")
-    least = split.groupBy("key").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).filter("low < high").select("key", "low")
-    hot_cuts = split.join(least, "key").filter("doc_id > low").select("doc_id", "th", F.col("start").alias("a"), (F.col("start") + window).alias("b"))
-    return copies.union(matched).union(hot_cuts).groupBy("doc_id", "th").agg(F.collect_list(F.struct("a", "b")).alias("cuts"))
+    found = cut(_located(known, window, gram))
+    finer = ((window + gram) // 2 + 1, window - 4)  # grams of the cuts for hot anchors
+    ranges = _resolved(found, known, window, tuple(g for g in finer if gram < g < window), hot, shard_words)
+    return ranges.groupBy("doc_id", "th").agg(F.collect_list(F.struct("a", "b")).alias("cuts"))
 
 
 def _with_cuts(docs: DataFrame, **how) -> DataFrame:
