@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES: tuple[str, ...] = ("regions", "searches")
+MODULES: tuple[str, ...] = ("regions", "searches", "relational", "streams")
 
 
 def _gather(what: str) -> dict:
