@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from .common import cut, mix64, slices, spans, table, utf8, word_hashes
 from .components import components
 
-BANDS, ROWS, SALT_ROWS = 40, 5, 256
+BANDS, ROWS, SALT_ROWS = 40, 5, 64
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32

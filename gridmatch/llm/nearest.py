@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import table
 
-TABLES, BLOCK = 8, 2000
+TABLES, BLOCK = 8, 500
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
