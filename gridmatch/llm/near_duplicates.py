@@ -8,10 +8,11 @@ with a share near their similarity.  Bands of coordinates are bucket keys.
 Documents with equal shingle sets are one class and only its smallest document goes on.  In a
 bucket the member that meets most others is the centre.  Pairs are tried in three rounds, each
 followed by components, and only between different components: every class with its best
-centre; with the other centres; and what is left of a bucket outside its largest component with
-all its members.  So a bucket of n similar sets costs about n comparisons instead of n squared,
-and no candidate pair of different components stays untried.  A link is confirmed on the two
-full sets.
+centre; with the other centres; and, in buckets that still hold several components, members
+whose rarest shingles meet.  Rarest are those that the bucket's centre has not: sets too far
+from the centre to link with it begin with them, so a bucket of n similar sets costs about n
+comparisons instead of n squared whether its sets link or not, and no pair that may link stays
+untried.  A link is confirmed on the two full sets.
 
 With 40 bands of 5, a pair at the threshold (0.8) shares no band with probability 1e-7.
 
@@ -130,15 +131,59 @@ def _meet(width: int, percent: int):
     return run
 
 
-def verified(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
-    """The `pairs` (a, c) of documents whose full sets are similar enough, as edges (a, b).
+def _rarest(width: int, percent: int):
+    """Streams the same rows; gives each member's set size and its first shingles in the order
+    "not the centre's, then the centre's, by hash", as many as any partner could need."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, centre = None, None
+        for b in slices(batches):
+            a_out, c_out, n_out, first = [], [], [], []
+            for c, salt, role, doc, x in zip(b.column("c").to_pylist(), b.column("salt").to_pylist(), b.column("role").to_pylist(), b.column("doc_id").to_pylist(), shingle_sets(b.column("text"), width)):
+                if role == 0:
+                    own, centre = (c, salt), x
+                elif own == (c, salt) and len(x) and len(centre):
+                    at = np.minimum(np.searchsorted(centre, x), len(centre) - 1)
+                    common = centre[at] == x
+                    keep = len(x) + 1 + -percent * len(x) // 100
+                    a_out.append(doc), c_out.append(c), n_out.append(len(x))
+                    first.append(np.concatenate([x[~common], x[common]])[:keep].view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(c_out, pa.int64()), pa.array(n_out, pa.int64()), pa.array(first, pa.list_(pa.int64()))], ["a", "c", "n", "first"])
+
+    return run
+
+
+def _beside_centres(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """Texts of `pairs` (a, c), each c's own text first in its partition.
 
-    Pairs are grouped by c; a c with many partners is repeated for each `SALT_ROWS` of them."""
+    A c with many partners is repeated for each `SALT_ROWS` of them."""
     salts = pairs.groupBy("c").agg(F.ceil(F.count("*") / SALT_ROWS).cast("int").alias("salts"))
     members = pairs.join(salts, "c").select("c", F.pmod(F.xxhash64("a"), F.col("salts")).cast("int").alias("salt"), F.lit(1).alias("role"), F.col("a").alias("doc_id"))
     centres = salts.select("c", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("role"), F.col("c").alias("doc_id"))
     rows = members.unionByName(centres).join(texts, "doc_id").select("c", "salt", "role", "doc_id", "text")
-    return rows.repartition("c", "salt").sortWithinPartitions("c", "salt", "role").mapInArrow(_meet(width, percent), "a long, b long")
+    return rows.repartition("c", "salt").sortWithinPartitions("c", "salt", "role")
+
+
+def verified(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
+    """The `pairs` (a, c) of documents whose full sets are similar enough, as edges (a, b)."""
+    return _beside_centres(pairs, texts).mapInArrow(_meet(width, percent), "a long, b long")
+
+
+def possible(members: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
+    """Pairs (a, c) of `members` (a, c, at) of one centre in different components (at) that may link.
+
+    Two sets that link have at least `need` shingles in common, so in any common order their
+    first `size - need + 1` shingles meet.  The centre's own shingles come last: a set that does not link with
+    the centre begins with those it has beside it, which few others have, so sets that are
+    near the centre but not near each other never meet here."""
+    first = _beside_centres(members.select("a", "c"), texts).mapInArrow(_rarest(width, percent), "a long, c long, n long, first array<long>")
+    first = cut(first.join(members, ["a", "c"]).select("c", "a", "n", "at", F.posexplode("first").alias("pos", "shingle")))
+    need = lambda total: f"(({percent} * ({total}) + {99 + percent}) DIV {100 + percent})"
+    small = first.filter(f"pos <= n - {need('2 * n')}")
+    large = first.select("c", "shingle", F.col("a").alias("a2"), F.col("n").alias("n2"), F.col("at").alias("at2"), F.col("pos").alias("pos2"))
+    may = F.expr(f"at <> at2 AND (n < n2 OR (n = n2 AND a < a2)) AND 100 * n >= {percent} * n2 AND pos <= n - {need('n + n2')} AND pos2 <= n2 - {need('n + n2')}")
+    met = small.join(large, ["c", "shingle"]).filter(may)
+    return met.select(F.least("a", "a2").alias("a"), F.greatest("a", "a2").alias("c")).distinct()
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -171,17 +216,12 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     if not rest.isEmpty():
         edges = cut(edges.union(verified(rest, texts, width, percent)))
         names = components(edges)
-    # what a bucket holds outside its largest component meets all of it
-    place = met.select("key", "rep", "n").join(names.withColumnRenamed("v", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("at"))
-    place = cut(place)
-    parts = place.groupBy("key", "at").agg(F.count("*").alias("k"))
-    largest = parts.groupBy("key").agg(F.count("*").alias("parts"), F.max(F.struct("k", "at")).alias("m")).filter("parts > 1").select("key", F.col("m.at").alias("main"))
-    open_ = place.join(largest, "key")
-    few = open_.filter("at <> main").select("key", F.col("rep").alias("c"), F.col("n").alias("c_n"), F.col("at").alias("c_at"))
-    left = few.join(place.select("key", F.col("rep").alias("a"), "n", "at"), "key").filter("at <> c_at").filter(100 * F.least("n", "c_n") >= percent * F.greatest("n", "c_n"))
-    left = left.select(F.least("a", "c").alias("a"), F.greatest("a", "c").alias("c")).distinct()
-    tried = to_centre.select(F.least("a", "c").alias("a"), F.greatest("a", "c").alias("c"))
-    left = cut(left.join(tried, ["a", "c"], "left_anti"))
+    # buckets that hold several components: members of different ones, by what they have beside the centre
+    at = F.coalesce("component", "rep").alias("at")
+    place = cut(met.select("key", "rep").join(names.withColumnRenamed("v", "rep"), "rep", "left").select("key", "rep", at))
+    several = place.groupBy("key").agg((F.min("at") != F.max("at")).alias("several")).filter("several").select("key")
+    members = place.join(several, "key").join(centre, "key").filter("rep <> c").select(F.col("rep").alias("a"), "c", "at").distinct()
+    left = cut(possible(cut(members), texts, width, percent))
     if not left.isEmpty():
         edges = edges.union(verified(left, texts, width, percent))
     names = components(edges)
