@@ -214,8 +214,10 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     names = components(edges)
     rest = cut(split(to_centre.select("a", "c").join(best, ["a", "c"], "left_anti"), names))
     if not rest.isEmpty():
-        edges = cut(edges.union(verified(rest, texts, width, percent)))
-        names = components(edges)
+        more = cut(verified(rest, texts, width, percent))
+        if not more.isEmpty():
+            edges = edges.union(more)
+            names = components(edges)
     # buckets that hold several components: members of different ones, by what they have beside the centre
     at = F.coalesce("component", "rep").alias("at")
     place = cut(met.select("key", "rep").join(names.withColumnRenamed("v", "rep"), "rep", "left").select("key", "rep", at))
@@ -223,8 +225,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     members = place.join(several, "key").join(centre, "key").filter("rep <> c").select(F.col("rep").alias("a"), "c", "at").distinct()
     left = cut(possible(cut(members), texts, width, percent))
     if not left.isEmpty():
-        edges = edges.union(verified(left, texts, width, percent))
-    names = components(edges)
+        more = cut(verified(left, texts, width, percent))
+        if not more.isEmpty():
+            names = components(edges.union(more))
     of_class = held.select("s1", "s2", "n", "rep").join(names.withColumnRenamed("v", "rep"), "rep", "left").select("s1", "s2", "n", F.coalesce("component", "rep").alias("component_id"))
     out = sk.select("doc_id", "n", "s1", "s2").join(of_class, ["s1", "s2", "n"], "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
