@@ -32,8 +32,11 @@ class Ids:
 
     The tokenizer drops white space, lowers case and never joins letters with punctuation, so a
     text's ids are those of its chunks between ASCII spaces, and a chunk's are those of its
-    lower-case form before a last comma or stop, then that mark's.  Both are remembered for the
-    life of the worker (a bounded number of them)."""
+    lower-case form before the marks that end it, then those of the marks.  Both are remembered for the
+    life of the worker (a bounded number of them).  Words of Latin letters are new to it by
+    the thousand, so they go to the tokenizer together."""
+
+    MARKS = b",.;:!?%#$&*"
 
     def __init__(self, path: str, keep: int = 500_000):
         from tokenizers import Tokenizer
@@ -41,16 +44,24 @@ class Ids:
         self.tokenizer, self.keep = Tokenizer.from_file(path), keep
         self.chunks: dict[bytes, bytes] = {}
         self.stems: dict[bytes, bytes] = {}
-        self.marks = {m: self._encoded(m) for m in (b",", b".", b"")}
+        self.marks: dict[bytes, bytes] = {}
 
     def _encoded(self, chunk: bytes) -> bytes:
         return np.array(self.tokenizer.encode(chunk.decode(), add_special_tokens=False).ids, "<u4").tobytes()
 
+    @classmethod
+    def parts(cls, chunk: bytes) -> tuple[bytes, bytes]:
+        stem = chunk.rstrip(cls.MARKS)
+        if not (stem[-1:].isalpha() or stem[-1:] >= b"\x80" and cls.latin(stem.decode()[-1].encode())):
+            stem = chunk  # only a letter ends before a mark: other signs may join it
+        return (stem.lower() if stem.isascii() else stem), chunk[len(stem) :]
+
     @staticmethod
-    def parts(chunk: bytes) -> tuple[bytes, bytes]:
-        mark = chunk[-1:] if chunk[-1:] in (b",", b".") and chunk[-2:-1].isalpha() else b""
-        stem = chunk[: len(chunk) - len(mark)]
-        return (stem.lower() if stem.isascii() else stem), mark
+    def latin(stem: bytes) -> bool:
+        if stem.isascii():
+            return stem.isalpha()
+        word = stem.decode()
+        return word.isalpha() and max(word) < "\u0250" and "\u0130" not in word  # which lower case takes apart
 
     def learn(self, new: set[bytes]) -> None:
         if len(self.chunks) + len(new) > self.keep:
@@ -59,7 +70,7 @@ class Ids:
             self.stems.clear()
         split = {c: self.parts(c) for c in new}
         stems = {s for s, _ in split.values()}.difference(self.stems)
-        words = [s for s in stems if s.isalpha()]  # one word to the tokenizer: many go in one call
+        words = [s for s in stems if self.latin(s)]  # one word to the tokenizer: many go in one call
         for a in range(0, len(words), 2000):
             part = words[a : a + 2000]
             e = self.tokenizer.encode(b" ".join(part).decode(), add_special_tokens=False)
@@ -70,6 +81,10 @@ class Ids:
         for s in stems:
             if s not in self.stems:
                 self.stems[s] = self._encoded(s)
+        if len(self.marks) > 10_000:
+            self.marks.clear()
+        for m in {m for _, m in split.values()}.difference(self.marks):
+            self.marks[m] = self._encoded(m)
         for c, (s, m) in split.items():
             self.chunks[c] = self.stems[s] + self.marks[m] if m else self.stems[s]
 
