@@ -278,3 +278,36 @@ def flood_fill(spark, d):
 def activity_props(spark, d):
     e = load(spark, d, "events", "user_id", "props").withColumn("k", F.get_json_object("props", "$.k"))
     return e.groupBy("user_id").agg(F.count("k").alias("n"), F.count_distinct("k").alias("kinds"))
+
+
+@query("overlap_bounds", f"{C} SELECT image_id, dr, dc, count(*) n, CAST(sum(greatest(score, 0)) AS BIGINT) up, max(score) top FROM cells GROUP BY 1, 2, 3")
+def overlap_bounds(spark, d):
+    up = F.sum(F.greatest("score", F.lit(0))).cast("long")
+    return cells(spark, d).groupBy("image_id", "dr", "dc").agg(F.count("*").alias("n"), up.alias("up"), F.max(F.col("score").cast("long")).alias("top"))
+
+
+@query("nearest_tile", f"{C} SELECT q, min(dist) dist, CAST(arg_min(image_id, (dist, image_id, dr, dc)) AS BIGINT) image_id FROM cells GROUP BY 1")
+def nearest_tile(spark, d):
+    order = F.struct("dist", "image_id", "dr", "dc")
+    return cells(spark, d).groupBy("q").agg(F.min(F.col("dist").cast("long")).alias("dist"), F.min_by("image_id", order).cast("long").alias("image_id"))
+
+
+@query("last_seen_score", f"{C}, o AS (SELECT q, score, row_number() OVER (PARTITION BY q ORDER BY dist, image_id, dr, dc) n FROM cells) SELECT q, max(score) FILTER (n = 8) score FROM o GROUP BY 1")
+def last_seen_score(spark, d):
+    order = Window.partitionBy("q").orderBy("dist", "image_id", "dr", "dc")
+    seen = cells(spark, d).withColumn("n", F.row_number().over(order)).filter("n <= 8")
+    return seen.groupBy("q").agg(F.max(F.when(F.col("n") == 8, F.col("score"))).cast("long").alias("score"))
+
+
+@query("feature_covariance", f"{T} SELECT " + ", ".join(f"round(covar_pop(f{i}, f{j}), 3) v{i}{j}" for i in range(3) for j in range(i, 3)) + " FROM tiles")
+def feature_covariance(spark, d):
+    return tiles(spark, d).agg(*(F.round(F.covar_pop(f"f{i}", f"f{j}"), 3).alias(f"v{i}{j}") for i in range(3) for j in range(i, 3)))
+
+
+@query("query_size_sweep", f"{T}, n AS (SELECT image_id, max(r) + 1 a, max(c) + 1 b FROM tiles GROUP BY 1) SELECT h, w, CAST(sum((a + h - 1) * (b + w - 1)) AS BIGINT) AS n_overlaps FROM n, (VALUES (2, 5), (4, 5), (5, 6), (4, 10)) q(h, w) GROUP BY 1, 2")
+def query_size_sweep(spark, d):
+    """Region problems that a scan solves for each query size of the sweep."""
+    shape = tiles(spark, d).groupBy("image_id").agg((F.max("r") + 1).alias("a"), (F.max("c") + 1).alias("b"))
+    sizes = F.explode(F.array(*(F.struct(F.lit(h).alias("h"), F.lit(w).alias("w")) for h, w in ((2, 5), (4, 5), (5, 6), (4, 10)))))
+    swept = shape.select("a", "b", sizes.alias("q")).select("a", "b", "q.h", "q.w")
+    return swept.groupBy("h", "w").agg(F.sum((F.col("a") + F.col("h") - 1) * (F.col("b") + F.col("w") - 1)).cast("long").alias("n_overlaps"))
