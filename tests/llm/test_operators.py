@@ -304,3 +304,20 @@ def test_toxicity(spark):
 def test_features_of_odd_texts():
     x = toxicity.features(pa.array([None, "", " ", "A", "!!! you @@"]), toxicity.Weights({}))
     assert x.shape == (5, len(toxicity.FEATURES)) and np.isfinite(x).all()
+
+
+def test_near_duplicates_of_a_group_around_the_threshold(spark):
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(120)]
+    texts = [[f"m{rng.randrange(400)}" if rng.random() < rate else w for w in base] for rate in (0.02, 0.05, 0.08) for _ in range(30)]
+    sets = [{tuple(t[i : i + 2]) for i in range(len(t) - 1)} for t in texts]
+    want = list(range(len(texts)))
+    for i, x in enumerate(sets):
+        for j in range(i):
+            if 100 * len(x & sets[j]) >= 80 * len(x | sets[j]):
+                a, b = sorted((want[i], want[j]))
+                want = [a if w == b else w for w in want]
+    assert 1 < len(set(want)) < len(want)
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in near_duplicates.near_duplicates(docs, width=2).collect()}
+    assert got == dict(enumerate(want))
