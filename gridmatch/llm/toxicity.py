@@ -7,7 +7,8 @@ rows, taken by hash); scoring is one narrow pass over whole texts.
 Features: lexicon densities and weights, lexicon words near a second-person word, capitals,
 punctuation and obfuscation rates, length.  Ids, language and source are never inputs.
 
-Null and empty texts get the score of a text without words.  Null labels are not used; a
+A word is a run of characters other than ASCII white space everywhere, so a text of no-break
+spaces alone is one word.  Null and empty texts get the score of a text without words.  Null labels are not used; a
 document with several labels counts as toxic if one says so; repeated rows are scored alike.
 Without labels of both kinds the score is the constant share of toxic rows (0 without labels).
 Extra columns are ignored; an empty table gives an empty result.
@@ -28,13 +29,18 @@ from pyspark.sql import functions as F
 from .common import cut, slices, spans, table, utf8
 
 #: Second-person words in the corpus' languages, and characters that stand for letters.
-SECOND_PERSON = frozenset("you your yours yourself u ya tu te toi ton ta tes vous votre vos du dich dir dein deine deinen ihr euch euer sie ti tus tuyo usted ustedes vosotros".split())
+SECOND_PERSON = frozenset(b"you your yours yourself u ya tu te toi ton ta tes vous votre vos du dich dir dein deine deinen ihr euch euer sie ti tus tuyo usted ustedes vosotros".split())
 LEET = str.maketrans("0134578@$!", "oieastbasi")
 EDGE = ".,;:!?\"'()[]{}<>#*$%&|-_~`/\\"
 
 FEATURES = ("density", "hits", "weight", "heaviest", "distinct", "near_second_person", "second_person", "capitals", "shouted", "punctuation", "exclamation", "obfuscated", "length")
 
 
+def lower_words(text: str | None) -> list[bytes]:
+    """The words `spans` counts, in lower case."""
+    return (text or "").lower().encode().split()
+
+
 def terms_of(word: str) -> tuple[str, ...]:
     """What of a lower-case word may be in the lexicon: the bare word, its letters read plainly, and its beginnings."""
     bare = word.strip(EDGE)
@@ -43,21 +49,23 @@ def terms_of(word: str) -> tuple[str, ...]:
 
 
 class Weights:
-    """Lexicon weight of a word, remembered for words seen before (a bounded number of them)."""
+    """Lexicon weight of a word, remembered for words seen before (a bounded number of bytes)."""
 
     def __init__(self, lexicon: dict[str, float]):
-        self.lexicon, self.seen = lexicon, {}
+        self.lexicon, self.seen, self.held = lexicon, {}, 0
 
-    def __call__(self, words: list[str]) -> list[float]:
+    def __call__(self, words: list[bytes]) -> list[float]:
         seen = self.seen
         try:
             return [seen[w] for w in words]
         except KeyError:
-            if len(seen) > 200_000:
+            if self.held > 32 << 20:
                 seen.clear()
+                self.held = 0
             get = self.lexicon.get
             for w in set(words).difference(seen):
-                seen[w] = max(get(x, 0.0) for x in terms_of(w))
+                seen[w] = max(get(x, 0.0) for x in terms_of(w.decode()))
+                self.held += len(w) + 100
             return [seen[w] for w in words]
 
 
@@ -90,7 +98,7 @@ def features(column: pa.Array, weights: Weights) -> np.ndarray:
     for i, text in enumerate(column.to_pylist()):
         if not n[i]:
             continue
-        words = text.lower().split()
+        words = lower_words(text)
         w = weights(words)
         at = [j for j, x in enumerate(w) if x]
         if at:
@@ -199,7 +207,7 @@ def _count_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     for batch in slices(batches):
         for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist()):
-            tally["tox" if toxic else "non"].update({t for w in set((text or "").lower().split()) for t in terms_of(w) if t})
+            tally["tox" if toxic else "non"].update({t for w in set(lower_words(text)) for t in terms_of(w.decode()) if t})
         if len(tally["non"]) > 300_000:
             yield flush()
     yield flush()

@@ -302,8 +302,46 @@ def test_toxicity(spark):
 
 
 def test_features_of_odd_texts():
-    x = toxicity.features(pa.array([None, "", " ", "A", "!!! you @@"]), toxicity.Weights({}))
-    assert x.shape == (5, len(toxicity.FEATURES)) and np.isfinite(x).all()
+    texts = [None, "", " ", "A", "!!! you @@", "\u00a0", "\u3000 \u2003", "\x1c\x1d", "\u0130 you"]
+    x = toxicity.features(pa.array(texts), toxicity.Weights({}))
+    assert x.shape == (len(texts), len(toxicity.FEATURES)) and np.isfinite(x).all()
+    assert [len(toxicity.lower_words(t)) for t in texts] == [0, 0, 0, 1, 3, 1, 2, 1, 2]
+
+
+def test_features_against_counting():
+    weights = toxicity.Weights({"foo": 2.0, "bar*": 1.0})
+    texts = ["Foo you bars! XYZ f00", "one two three", "you " * 9 + "foo"]
+    x = toxicity.features(pa.array(texts), weights)
+    name = {n: i for i, n in enumerate(toxicity.FEATURES)}
+    assert [len([w for w in toxicity.lower_words(t) if weights([w])[0]]) / len(t.split()) for t in texts] == x[:, name["density"]].tolist()
+    assert [sum(c.isupper() for c in t) / sum(c.isalpha() for c in t) for t in texts] == pytest.approx(x[:, name["capitals"]].tolist())
+    assert [t.count("!") / len(t) for t in texts] == pytest.approx(x[:, name["exclamation"]].tolist())
+    assert x[:, name["heaviest"]].tolist() == [2.0, 0.0, 2.0] and x[:, name["near_second_person"]].tolist() == [1.0, 0.0, 1.0]
+
+
+def test_trees_and_calibration():
+    rng = np.random.default_rng(0)
+    x = rng.random((2000, 3))
+    y = ((x[:, 0] > 0.5) ^ (x[:, 1] > 0.3)).astype(float)
+    trees = toxicity.boost(x, y)
+    assert ((trees.raw(x) > 0) == (y > 0)).mean() > 0.97
+    raw = rng.normal(size=300)
+    label = (rng.random(300) < 1 / (1 + np.exp(-raw))).astype(float)
+    at, level = toxicity.isotonic(raw, label)
+    order = np.argsort(raw)
+    want = label[order].copy()  # the largest mean from the left that any right end allows
+    want = [max(min(want[a : b + 1].mean() for b in range(i, 300)) for a in range(i + 1)) for i in range(0, 300, 25)]
+    near = np.abs(at[None, :] - raw[order][::25, None]).argmin(1)
+    assert (np.diff(level) >= 0).all() and np.abs(level[near] - want).max() < 0.2
+
+
+def test_toxicity_of_odd_tables(spark):
+    rows = [(0, "\u00a0", 1), (0, "\u00a0", 1), (1, None, None), (None, "\u3000", 2)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, score int")
+    model = toxicity.Model({}, toxicity.boost(np.random.default_rng(1).random((50, len(toxicity.FEATURES))), np.arange(50) % 2.0), (np.array([-1.0, 1.0]), np.array([0.0, 1.0])))
+    got = toxicity.score(docs.drop("score"), model, ["doc_id"]).collect()
+    assert len(got) == 4 and len({r["score"] for r in got if r["doc_id"] == 0}) == 1
+    assert toxicity.score(docs.filter("false"), model, ["doc_id"]).count() == 0
 
 
 def test_near_duplicates_of_a_group_around_the_threshold(spark):
