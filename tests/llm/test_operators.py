@@ -4,6 +4,7 @@ rows, empty tables and extra columns."""
 import hashlib
 import itertools
 import random
+import re
 
 import numpy as np
 import pyarrow as pa
@@ -182,16 +183,59 @@ def test_quality_rules(docs, none, rows):
 
 
 def test_license_expressions():
-    e = license_scan.postfix("(MIT OR Apache-2.0) AND GPL-2.0-only WITH Classpath-exception-2.0 */")
-    assert e == ["mit", "apache-2.0", "or", "gpl-2.0-only", "classpath-exception-2.0", "with", "and"]
+    read = lambda x: (license_scan.postfix(x) or (None,))[0]
+    e = read("(MIT OR Apache-2.0) AND GPL-2.0-only WITH Classpath-exception-2.0 */")
+    assert e == ["mit", "apache-2.0", "or", "gpl-2.0-only with classpath-exception-2.0", "and"]
     assert license_scan.evaluate(e, frozenset({"mit"}))[1] is False
-    assert license_scan.evaluate(license_scan.postfix("MIT OR GPL-3.0-only"), frozenset({"mit"}))[1] is True
-    assert license_scan.postfix("AND MIT") is None and license_scan.postfix("(MIT") is None and license_scan.postfix("") is None
-    found = license_scan.scan("x; Under the MIT-License, under THE mit license. SPDX-License-Identifier: ISC OR MIT", license_scan.automaton())
-    assert (found["n_base"], found["first_word"], found["last_word"], found["base_labels"], found["labels"], found["score"]) == (2, 1, 5, "mit", "isc,mit", 1.0)
+    assert license_scan.evaluate(read("MIT OR GPL-3.0-only"), frozenset({"mit"}))[1] is True
+    for bad in ("AND MIT", "(MIT", "", "(MIT OR ISC) WITH x", "MIT WITH (x OR y)", "MIT WITH x WITH y", "MIT WITH", "MIT AND"):
+        assert read(bad) is None
+    found = license_scan.scan("x; Under the MIT-License, under THE mit license. SPDX-License-Identifier: ISC OR (MIT and GPL-2.0+)", license_scan.automaton())
+    assert (found["n_base"], found["first_word"], found["last_word"], found["base_labels"], found["labels"], found["score"]) == (2, 1, 5, "mit", "gpl-2.0+,isc,mit", 1.0)
+    assert (found["expressions"], found["permitted"]) == ("isc or (mit and gpl-2.0+)", True)
     assert license_scan.scan(None, license_scan.automaton())["n_words"] == 0
 
 
+def test_license_tags_that_prove_little():
+    scan = lambda t: license_scan.scan(f"SPDX-License-Identifier: {t}", license_scan.automaton())
+    assert (scan("see LICENSE file")["labels"], scan("see LICENSE file")["score"]) == ("", 0.0)
+    assert (scan("MIT and Foo-1")["labels"], scan("MIT and Foo-1")["score"], scan("MIT and Foo-1")["permitted"]) == ("mit", 0.5, False)
+    assert scan("LicenseRef-own OR MIT")["labels"] == "licenseref-own,mit"
+    both = scan("MIT\n// spdx-license-identifier: GPL-3.0-only")
+    assert (both["labels"], both["permitted"]) == ("gpl-3.0-only,mit", False)
+
+
+def test_hostile_license_expressions():
+    import time
+
+    scan = lambda t: license_scan.scan(f"SPDX-License-Identifier: {t}", license_scan.automaton())
+    began = time.process_time()
+    assert scan(" and ".join(f"(a{i} or b{i}) with c{i}" for i in range(5000)))["labels"] == ""
+    assert scan(" or ".join(f"LicenseRef-{i}" for i in range(50_000)))["labels"].count(",") == 49_999
+    assert scan("(" * 100_000 + "MIT" + ")" * 100_000)["labels"] == "mit"
+    assert scan("MIT WITH " * 50_000)["labels"] == ""
+    assert time.process_time() - began < 20
+
+
+def test_license_scan_against_counting(spark):
+    rng = random.Random(8)
+    parts = ["under the mit license", "UNDER the", "MIT License", "apache license version 2", "version", "2", "cc by nc", "cc-by.nc", "é", "by", "\n", "x"]
+    texts = [rng.choice([" ", "-", ", "]).join(rng.choice(parts) for _ in range(rng.randrange(30))) for _ in range(200)] + [None, "", "x " * 5000 + "cc by nc"]
+    df = spark.createDataFrame([(i, t, "en") for i, t in enumerate(texts)] + [(0, texts[0], "en")], "doc_id long, text string, labels string")
+    got = license_scan.scan_documents(df, ["doc_id"]).collect()
+    assert len(got) == len(texts) + 1
+    for r in got:
+        low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in texts[r["doc_id"]] or "")
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
+        at, labels = [], set()
+        for phrase, label in license_scan.BASE_PHRASES.items():
+            p = phrase.split()
+            here = [i for i in range(len(words)) if words[i : i + len(p)] == p]
+            at += here
+            labels |= {label} if here else set()
+        assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) == (len(words), len(at), min(at, default=None), max(at, default=None), ",".join(sorted(labels)))
+
+
 def test_license_scan_table(docs, none, rows):
     out = license_scan.scan_documents(docs.withColumnRenamed("lang", "labels_"), ["doc_id"])
     assert out.count() == len(rows) and license_scan.scan_documents(none, ["doc_id"]).count() == 0
@@ -261,6 +305,32 @@ def test_packing(docs, none, rows):
     assert packing.pack(none, packing.public_vocabulary()).count() == 0
 
 
+HOSTILE = ["It's they'll 'S ''s don'T x's9", "a<|endoftext|>b <|ENDOFTEXT|> <|x", "İstanbul É\u0301cole \u00d7 3\u00f74 ªº µm ½", "\u00a0\u0085\x1c\x00 a\u00adb", "日本語 텍스트 e\u0301", "A1b22,,..c!!", "x" * 3000, "data:" + "Qk0=" * 2000, "\u200d👩‍👩‍👧 ÀÉÎõü Ǆ ŀ", "", None, "a\n\tb  c", "'", "' s", "\u00c3\u0097", "<", "|>"]
+
+
+def test_token_ids_of_hostile_texts():
+    ids = packing.Ids(packing.public_vocabulary(), 20_000)
+    assert ids.by_unit
+    rng = random.Random(9)
+    signs = "aB'é\u00d7<|>1. \n\u0130\u00a0s日\u0301"
+    texts = HOSTILE + ["".join(rng.choice(signs) for _ in range(rng.randrange(40))) for _ in range(3000)] + HOSTILE
+    for part in (texts, texts[:1], [None], []):
+        got = list(ids(pa.array(part, pa.string())))
+        want = [ids.tokenizer.encode(t or "", add_special_tokens=False).ids for t in part]
+        assert [np.frombuffer(x, "<u4").tolist() for x in got] == want
+    assert ids.units.held < 20_000 + 20_000
+
+
+def test_other_tokenizers_take_whole_texts(tmp_path):
+    from tokenizers import Tokenizer, models, pre_tokenizers
+
+    tok = Tokenizer(models.WordLevel({"a": 0, "b": 1, "?": 2}, unk_token="?"))
+    tok.pre_tokenizer = pre_tokenizers.Whitespace()
+    tok.save(str(tmp_path / "t.json"))
+    ids = packing.Ids(str(tmp_path / "t.json"))
+    assert not ids.by_unit and [np.frombuffer(x, "<u4").tolist() for x in ids(pa.array(["a b", None, "c a"]))] == [[0, 1], [], [2, 0]]
+
+
 def test_pieces():
     for n in (1, 63, 64, 100, 2048, 4096, 4097, 50_000):
         p = list(packing.pieces(n))
