@@ -264,24 +264,85 @@ def test_chat_branches(spark):
     assert sorted((r["depth"], r["node"]) for r in marks) == [(1, 0), (2, 2), (3, 3)]
 
 
-def test_nearest(spark):
+def nearest_by_force(x, ids, q, k=20):
+    """(vec_id, score) of the k nearest rows of row q, by products in double precision."""
+    s = (x * x[q]).sum(axis=1)
+    return [(ids[i], s[i]) for i in np.lexsort((ids, -s)) if ids[i] != ids[q]][:k]
+
+
+def searched(df, **how):
+    got = {}
+    for r in nearest.search(df, F.col("vec_id") % 20 == 0, **how).orderBy("query_id", "rank").collect():
+        got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+        assert r["rank"] == len(got[r["query_id"]])
+    return got
+
+
+def recall_of(got, x, ids):
+    """Share of the true neighbours' scores found; what is found has its true score and stands in order."""
+    hit = n = 0
+    for q in [i for i in range(len(x)) if ids[i] % 20 == 0]:
+        want, own = nearest_by_force(x, ids, q), got[ids[q]]
+        assert len(own) == len(want) and own == sorted(own, key=lambda r: (-r[1], r[0]))
+        hit += len({i for i, _ in own} & {i for i, _ in want})
+        n += len(want)
+    return hit / n
+
+
+@pytest.mark.parametrize("length", [1.0, 1e-7, 1e-160, 1e150])
+def test_nearest(spark, length):
     rng = np.random.default_rng(3)
-    x = rng.normal(size=(400, 16))
+    x = rng.normal(size=(1500, 16)) * length
     x[7] = x[8] = x[9]
-    rows = [(i, [float(v) for v in r], "z") for i, r in enumerate(x)] + [(1000, None, "z"), (1001, [0.0] * 16, "z"), (1020, [float("nan")] * 16, "z"), (1040, [1.0], "z")]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, rank string")
-    got = {}
-    for r in nearest.search(df, F.col("vec_id") % 20 == 0).collect():
-        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
-    hit = 0
-    for q in range(0, 400, 20):
-        s = x @ x[q]
-        best = [i for i in np.lexsort((np.arange(400), -s)) if i != q][:20]
-        own = sorted(got[q])
-        assert len(own) == 20 and all(abs(v - s[i]) < 1e-9 for _, i, v in own)
-        hit += len({i for _, i, _ in own} & set(best))
-    assert hit / 400 >= 0.9
-    assert nearest.search(df.filter("false"), F.lit(True)).count() == 0
+    odd = [(5000, None, "z"), (5001, [0.0] * 16, "z"), (5020, [float("nan")] * 16, "z"), (5040, [1.0], "z")]
+    df = spark.createDataFrame([(i, [float(v) for v in r], "z") for i, r in enumerate(x)] + odd, "vec_id long, embedding array<double>, rank string")
+    got = searched(df)
+    assert set(got) == set(range(0, 1500, 20))
+    if length > 1e-150:  # smaller products are all zero in doubles
+        assert recall_of(got, x, np.arange(1500)) >= 0.93
+
+
+def test_nearest_of_copies(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(300, 16)).astype(np.float32)
+    x = np.concatenate([x, np.repeat(x[40:41], 400, axis=0), np.repeat(x[50:51], 15, axis=0)])
+    ids = np.concatenate([np.arange(300), np.arange(1000, 1400), np.arange(2000, 2015)])
+    rows = [(int(i), [float(v) for v in r]) for i, r in zip(ids, x)]
+    df = spark.createDataFrame(rows + rows[:1] * 60 + rows[40:41] * 30, "vec_id long, embedding array<float>")
+    got = searched(df)
+    assert recall_of(got, x.astype(float), ids) >= 0.95
+    assert [i for i, _ in got[1000]] == [40, *range(1001, 1020)] and [i for i, _ in got[40]] == list(range(1000, 1020))
+
+
+def test_nearest_of_ties_and_unequal_lengths(spark):
+    rng = np.random.default_rng(5)
+    x = rng.integers(-2, 3, size=(500, 8)).astype(float)
+    x[(x == 0).all(axis=1)] = 1
+    df = spark.createDataFrame([(i, [int(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<int>")
+    got = searched(df, recall=1.0, tune_queries=25)
+    assert all(got[q] == nearest_by_force(x, np.arange(500), q) for q in got) and len(got) == 25
+
+
+def test_nearest_without_rows_or_queries(spark):
+    df = spark.createDataFrame([(3, [1.0, 2.0]), (4, [2.0, 1.0])], "vec_id long, embedding array<double>")
+    assert searched(df) == {} and searched(df.filter("false")) == {}
+    one = df.union(spark.createDataFrame([(20, [1.0, 0.0])], df.schema))
+    assert searched(one) == {20: [(4, 2.0), (3, 1.0)]}
+
+
+def test_nearest_visits_few_rows(spark):
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(8000, 32))
+    x = np.repeat(x[:400], 20, axis=0) + 0.6 * x  # neighbours among noise
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    rows, dim = nearest.usable(df)
+    points = nearest.points_of(rows, 20)
+    queries = points.filter("low % 20 = 0")
+    hashing = nearest.hashing_for(points, dim)
+    least = nearest.tuned(points, queries, hashing, 20, 0.95, 64)
+    assert nearest.volume(points, queries, hashing, least) < 0.3
+    assert recall_of(searched(df), x, np.arange(8000)) >= 0.93
 
 
 def test_packing(docs, none, rows):
