@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 #: A word is a longest run of characters other than space and \t \n \v \f \r.
 WORD = r"[^\x20\x09-\x0D]+"
 
-_SPACE = np.zeros(256, dtype=bool)
-_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
+SPACE = np.zeros(256, dtype=bool)
+SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -73,7 +73,7 @@ def spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     """Starts and ends (bytes) of all words, and each text's first word number (n+1 of them)."""
     n = len(data)
     ink = np.zeros(n + 2, dtype=bool)
-    np.logical_not(_SPACE[data], out=ink[1:-1])
+    np.logical_not(SPACE[data], out=ink[1:-1])
     edge = np.zeros(n + 1, dtype=bool)
     edge[offsets] = True
     starts = np.flatnonzero(ink[1:-1] & (~ink[:-2] | edge[:-1]))

@@ -14,6 +14,10 @@ are cut into many pieces.  An empty table gives no sequences.
 
 from __future__ import annotations
 
+import array
+import itertools
+import json
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -22,81 +26,142 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, slices, table
+from .common import SPACE, cut, slices, spans, table, utf8
 
 CAPACITY, CLASSES, END_ID, FILL, BUCKETS = 4096, 64, 2, 0.97, 1024
 
 
+def byte_letters() -> list[str]:
+    """The character that stands for each byte in a byte-level vocabulary: printable Latin-1 bytes
+    stand for themselves, the others take the characters from 256 on, in order."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    odd = iter(range(256, 512))
+    return [chr(b) if b in plain else chr(next(odd)) for b in range(256)]
+
+
+class Memory:
+    """What was learned about chunks, in two generations: when the young one holds `limit` bytes it
+    becomes the old one, and what is met again moves back."""
+
+    def __init__(self, limit: int):
+        self.limit, self.held = limit, 0
+        self.young: dict = {}
+        self.old: dict = {}
+
+    def put(self, key, value: bytes) -> None:
+        self.young[key] = value
+        self.held += len(key) + len(value) + 180
+        if self.held > self.limit:
+            self.young, self.old, self.held = {}, self.young, 0
+
+    def get(self, key) -> bytes | None:
+        value = self.young.get(key)
+        if value is None and (value := self.old.get(key)) is not None:
+            self.put(key, value)
+        return value
+
+
+#: Byte kinds: 1 letters (ASCII, and what U+00C0 to U+024F are made of), 2 digits, 3 marks, 0 others.
+_KIND = np.zeros(256, np.uint8)
+_KIND[33:127] = 3
+_KIND[[*range(65, 91), *range(97, 123), *range(0x80, 0xC0), *range(0xC3, 0xCA)]] = 1
+_KIND[48:58] = 2
+_LOWERED = np.arange(256, dtype=np.uint8)
+_LOWERED[65:91] += 32
+
+
 class Ids:
-    """Token ids of a text as little-endian 32-bit bytes.
+    """Token ids of a batch of texts.
+
+    Texts fall into units: the runs of letters, single digits and runs of marks that the
+    tokenizer's pattern gives, in lower case, or a whole chunk between ASCII spaces where that is
+    not plain to see (apostrophes, signs beyond U+024F, the file's own added tokens).  One
+    dictionary encoding numbers a batch's units, so Python sees each different unit of a batch
+    once, and the ids of all texts are one gather.  A unit's ids come from the tokenizer's
+    model, or for a chunk from the whole tokenizer, and are remembered for the life of the
+    worker, in a bounded number of bytes.
 
-    The tokenizer drops white space, lowers case and never joins letters with punctuation, so a
-    text's ids are those of its chunks between ASCII spaces, and a chunk's are those of its
-    lower-case form before the marks that end it, then those of the marks.  Both are remembered for the
-    life of the worker (a bounded number of them).  Words of Latin letters are new to it by
-    the thousand, so they go to the tokenizer together."""
+    That needs a file that composes, joins white space, lowers case, splits by a pattern of
+    this kind and maps bytes to letters; with other files whole texts go to the tokenizer."""
 
-    MARKS = b",.;:!?%#$&*"
+    STEPS = ("NFC", "Replace", "Lowercase")
+    PATTERN = "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"
 
-    def __init__(self, path: str, keep: int = 500_000):
+    def __init__(self, path: str, limit: int = 64 << 20):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.keep = Tokenizer.from_file(path), keep
-        self.chunks: dict[bytes, bytes] = {}
-        self.stems: dict[bytes, bytes] = {}
-        self.marks: dict[bytes, bytes] = {}
-
-    def _encoded(self, chunk: bytes) -> bytes:
-        return np.array(self.tokenizer.encode(chunk.decode(), add_special_tokens=False).ids, "<u4").tobytes()
-
-    @classmethod
-    def parts(cls, chunk: bytes) -> tuple[bytes, bytes]:
-        stem = chunk.rstrip(cls.MARKS)
-        if not (stem[-1:].isalpha() or stem[-1:] >= b"\x80" and cls.latin(stem.decode()[-1].encode())):
-            stem = chunk  # only a letter ends before a mark: other signs may join it
-        return (stem.lower() if stem.isascii() else stem), chunk[len(stem) :]
-
-    @staticmethod
-    def latin(stem: bytes) -> bool:
-        if stem.isascii():
-            return stem.isalpha()
-        word = stem.decode()
-        return word.isalpha() and max(word) < "\u0250" and "\u0130" not in word  # which lower case takes apart
-
-    def learn(self, new: set[bytes]) -> None:
-        if len(self.chunks) + len(new) > self.keep:
-            self.chunks.clear()
-        if len(self.stems) > self.keep:
-            self.stems.clear()
-        split = {c: self.parts(c) for c in new}
-        stems = {s for s, _ in split.values()}.difference(self.stems)
-        words = [s for s in stems if self.latin(s)]  # one word to the tokenizer: many go in one call
-        for a in range(0, len(words), 2000):
-            part = words[a : a + 2000]
-            e = self.tokenizer.encode(b" ".join(part).decode(), add_special_tokens=False)
-            edges = np.flatnonzero(np.diff(np.array(e.word_ids))) + 1
-            ids = np.array(e.ids, "<u4")
-            if len(edges) + 1 == len(part):
-                self.stems.update(zip(part, (x.tobytes() for x in np.split(ids, edges))))
-        for s in stems:
-            if s not in self.stems:
-                self.stems[s] = self._encoded(s)
-        if len(self.marks) > 10_000:
-            self.marks.clear()
-        for m in {m for _, m in split.values()}.difference(self.marks):
-            self.marks[m] = self._encoded(m)
-        for c, (s, m) in split.items():
-            self.chunks[c] = self.stems[s] + self.marks[m] if m else self.stems[s]
-
-    def __call__(self, texts: list[bytes]) -> Iterator[bytes]:
-        split = [t.split() for t in texts]
-        every = set().union(*split)
-        new = every.difference(self.chunks)
-        if new:
-            self.learn(every if len(self.chunks) + len(new) > self.keep else new)
-        get = self.chunks.__getitem__
-        for c in split:
-            yield b"".join(map(get, c))
+        self.tokenizer = Tokenizer.from_file(path)
+        with open(path, encoding="utf-8") as f:
+            form = json.load(f)
+        steps = (form.get("pre_tokenizer") or {}).get("pretokenizers") or []
+        added = [t["content"].encode() for t in form["added_tokens"]]
+        self.by_unit = (
+            tuple(x["type"] for x in (form.get("normalizer") or {}).get("normalizers", [])) == self.STEPS
+            and [x["type"] for x in steps] == ["Split", "ByteLevel"]
+            and (steps[0]["pattern"].get("Regex"), steps[0]["behavior"], steps[0]["invert"]) == (self.PATTERN, "Removed", True)
+            and not (steps[1]["add_prefix_space"] or steps[1]["use_regex"] or form.get("post_processor"))
+            and all(len(t) > 1 for t in added)
+        )
+        # two bytes that only a whole chunk may have: signs among the letters, a letter that lower case takes apart, added tokens
+        self.twos = sorted({b"\xc3\x97", b"\xc3\xb7", b"\xc4\xb0", *(t[:2] for t in added)})
+        self.odd = re.compile(b"|".join([rb"[\x00-\x20\x27\x7f\xc2\xca-\xff]", *map(re.escape, self.twos)])).search
+        self.letters = dict(enumerate(byte_letters()))
+        self.units = Memory(limit)
+
+    def _whole(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def _unit(self, unit: bytes) -> bytes:
+        ids = self.units.get(unit)
+        if ids is None:
+            if self.odd(unit):
+                ids = self._whole(unit.decode())
+            else:
+                own = unit.decode() if unit.isascii() else unit.decode().lower().encode().decode("latin-1").translate(self.letters)
+                ids = array.array("I", [t.id for t in self.tokenizer.model.tokenize(own)]).tobytes()
+            self.units.put(unit, ids)
+        return ids
+
+    def cut(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The units' bytes end to end, where each begins there (and the end), and each text's first unit."""
+        starts, ends, _ = spans(data, offsets)
+        kind = _KIND[data]
+        after = np.append(data[1:], np.uint8(32))
+        after[offsets[offsets > 0] - 1] = 32  # a text's last byte has none after it
+        strange = (kind == 0) & ~SPACE[data] | (data == 39)
+        for a, b in self.twos:
+            strange |= (data == a) & (after == b)
+        run = np.concatenate([[0], np.cumsum(strange, dtype=np.int64)])
+        whole = run[ends] > run[starts]
+        inside = np.zeros(len(data) + 1, np.int8)  # in a chunk that stays whole
+        inside[starts[whole]] = 1
+        inside[ends[whole]] -= 1
+        inside = np.cumsum(inside[:-1], dtype=np.int8).astype(bool)
+        first = np.zeros(len(data), bool)
+        first[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == 2)
+        first &= ~inside & ~SPACE[data]
+        first[starts] = True
+        ink = ~SPACE[data]
+        place = np.concatenate([[0], np.cumsum(ink, dtype=np.int64)])
+        at = np.flatnonzero(first)
+        return np.where(inside, data, _LOWERED[data])[ink], np.append(place[at], place[-1]), np.searchsorted(at, offsets)
+
+    def __call__(self, column: pa.Array) -> Iterator[bytes]:
+        """The ids of each text of a string column, little-endian, 32 bits each."""
+        if not self.by_unit:
+            yield from (self._whole(t.as_py() or "") for t in column)
+            return
+        ink, at, first = self.cut(*utf8(column))
+        coded = pa.Array.from_buffers(pa.large_binary(), len(at) - 1, [None, pa.py_buffer(at), pa.py_buffer(ink)]).dictionary_encode()
+        number = coded.indices.to_numpy()
+        known = list(map(self._unit, coded.dictionary.to_pylist()))
+        size = np.fromiter(map(len, known), np.int64, len(known)) // 4
+        ids, begins = np.frombuffer(b"".join(known), "<u4"), np.cumsum(size) - size
+        many = size[number]
+        upto = np.concatenate([[0], np.cumsum(many)])
+        for a, b in itertools.pairwise(first.tolist()):
+            n = number[a:b]
+            yield ids[np.repeat(begins[n] - upto[a:b], many[a:b]) + np.arange(upto[a], upto[b])].tobytes()
 
 
 _IDS: dict[str, Ids] = {}
@@ -129,10 +194,9 @@ def _piece_rows(docs: DataFrame, path: str, keep: list[str], with_ids: bool, end
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         ids = _IDS.get(path) or _IDS.setdefault(path, Ids(path))
-        for b in slices(batches, "_text"):
-            texts = [(t.as_py() or "").encode() for t in b.column("_text")]
+        for b in slices(batches, "_text", 8 << 20):
             at, start, length, crc, total, kind, raw = [], [], [], [], [], [], []
-            for i, own in enumerate(ids(texts)):
+            for i, own in enumerate(ids(b.column("_text"))):
                 own = memoryview(own + tail)
                 x, n = 0, len(own) // 4
                 for size, j in pieces(n, capacity):
