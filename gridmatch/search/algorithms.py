@@ -5,15 +5,13 @@ scan_sql: the same in DataFrame expressions only.
 bound_verify: one hash aggregation bounds every alignment, few are solved.
 range_search: every region of a score or more.
 whole_overlap: ranks alignments by total distance, no regions (a baseline).
-threshold: rounds of sorted access for each query tile, until nothing unseen can win.
-frontier: best-first over the index's boxes in waves, with deferred pairs.
+threshold: rounds of sorted access for each query tile, until nothing unseen can win (in shards).
+frontier: best-first over each shard's tree, with deferred pairs.
 radius: a first wave's k-th score becomes a radius; one filtered job follows.
 """
 
 from __future__ import annotations
 
-import heapq
-
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -24,7 +22,8 @@ from ..index.packed import PackedIndex
 from ..overlap.placements import Query, cells, matrices, pairs, query_tiles
 from ..region import expressions, solvers
 from ..score.functions import ScoreSpec
-from .core import SearchResult, SearchStats, canvas, kth, order, ranked, solve_canvases, with_alignments
+from .core import SearchResult, SearchStats, canvas, kth, ranked, solve_canvases, with_alignments
+from .shards import Shards, counters, hits_of
 
 
 def _check(k: int, query: Query, spec: ScoreSpec, tiles: DataFrame) -> None:
@@ -128,84 +127,26 @@ def radius(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, index: Packe
     return SearchResult(ranked(_solve(canvases, align, query, spec, solver, tau), k), SearchStats("radius", solved=align.count(), rounds=2))
 
 
-def threshold(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, index: PackedIndex | None = None, batch: int = 8, bound: str = "positive_sum", solver: str = "corner_dp", max_rounds: int = 60, doubling: bool = True) -> SearchResult:
-    """Sorted access: each round reads the next `batch` nearest tiles of every query tile (twice as
-    many each time if `doubling`), solves their new alignments, and bounds the unseen ones by the
-    matrix of the last distances seen."""
+def _walked(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None, algorithm: str, solver: str, **how) -> SearchResult:
     _check(k, query, spec, tiles)
-    index = index or PackedIndex.build(tiles)
-    canvases, qt = canvas(tiles), query_tiles(tiles.sparkSession, query)
-    stats, best, explored, done = SearchStats("threshold"), None, None, 0
-    total = index.rows
-    while done < total and stats.rounds < max_rounds:
-        upto = min(total, done + batch)
-        rows = saved(index.first_neighbours(query, qt, spec, upto).filter(F.col("nn") > done))
-        align = _alignments(rows)
-        if explored is not None:
-            align = align.join(explored, ["query_id", "image_id", "dr", "dc"], "left_anti")
-        align = saved(align)
-        stats.solved += align.count()
-        explored = align if explored is None else explored.union(align)
-        hits = _solve(canvases, align, query, spec, solver)
-        best = saved((hits if best is None else best.union(hits)).orderBy(*order()).limit(k))
-        last = {x["q"]: x["d"] for x in rows.groupBy("q").agg(F.max("dist").alias("d")).collect()}
-        stats.rounds += 1
-        done = upto
-        virtual = spec.numpy(query.bg, np.array([last[i] for i in range(query.n)], float))[None, :]
-        top = solvers.positive_sum(virtual)[0] if bound == "positive_sum" else solvers.solve(virtual, query.h, query.w, "exact" if bound == "exact" else solver)[0][0]
-        if top < kth(best, k):
-            break
-        batch *= 2 if doubling else 1
-    return SearchResult(ranked(best, k), stats)
+    shards = shards or Shards.build(tiles)
+    found = shards.search([query], k, spec, algorithm, solver, **how)
+    c = counters(found).first()
+    stats = SearchStats(algorithm, *((c["solved"], c["rounds"], c["popped"], c["max_queue"], c["accesses"], c["distances"], c["nn_seconds"], c["solve_seconds"]) if c else ()))
+    return SearchResult(ranked(hits_of(found), k), stats)
 
 
-def frontier(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, index: PackedIndex | None = None, wave: int = 8, defer: bool = True, solver: str = "corner_dp", growing: bool = True) -> SearchResult:
-    """Best-first over leaf boxes: a wave opens the boxes with the largest bounds, solves each
-    tile's alignment with its nearest query tile, and defers the others under their own bound."""
-    _check(k, query, spec, tiles)
-    index = index or PackedIndex.build(tiles)
-    canvases, spark = canvas(tiles), tiles.sparkSession
-    qt = query_tiles(spark, query)
-    heap = [(-b, leaf) for leaf, b in index.bounds(query, spec, lambda d: uniform_bound(query, spec, d))]
-    heapq.heapify(heap)
-    stats = SearchStats("frontier", max_queue=len(heap))
-    d = F.col("dist")
-    score = [spec.column(F.lit(float(x)), d) for x in query.bg]
-    u = expressions.positive_sum(score)
-    best, explored, pending, tau = None, None, None, -np.inf
-    while heap and -heap[0][0] >= tau:
-        opened = []
-        while heap and len(opened) < wave and -heap[0][0] >= tau:
-            opened.append(heapq.heappop(heap)[1])
-        stats.opened += len(opened)
-        p = pairs(index.leaf.filter(F.col("leaf_id").isin(opened)).drop("leaf_id"), qt, spec.metric).withColumn("u", u)
-        place = F.row_number().over(Window.partitionBy("image_id", "r", "c").orderBy("dist", "q"))
-        p = saved(p.withColumn("near", place == 1).select("query_id", "image_id", "dr", "dc", "u", "near"))
-        now = p.filter("near") if defer else p
-        later = p.filter("NOT near") if defer else None
-        if pending is not None:
-            later = pending.union(later)
-        head = -heap[0][0] if heap else -np.inf
-        if later is not None:
-            due = F.col("u") >= F.lit(float(max(tau, head)))
-            now, pending = now.union(later.filter(due)), saved(later.filter(~due))
-        align = _alignments(now)
-        if explored is not None:
-            align = align.join(explored, ["query_id", "image_id", "dr", "dc"], "left_anti")
-        align = saved(align)
-        stats.solved += align.count()
-        explored = align if explored is None else explored.union(align)
-        hits = _solve(canvases, align, query, spec, solver)
-        best = saved((hits if best is None else best.union(hits)).orderBy(*order()).limit(k))
-        tau = max(tau, kth(best, k))
-        stats.rounds += 1
-        wave *= 2 if growing else 1
-    if pending is not None:  # what still reaches the k-th score
-        align = _alignments(pending.filter(F.col("u") >= F.lit(float(tau)))).join(explored, ["query_id", "image_id", "dr", "dc"], "left_anti")
-        align = saved(align)
-        stats.solved += align.count()
-        best = saved(best.union(_solve(canvases, align, query, spec, solver)).orderBy(*order()).limit(k))
-    return SearchResult(ranked(best, k), stats)
+def threshold(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, batch: int = 8, doubling: bool = True, bound: str = "positive_sum", solver: str = "corner_dp") -> SearchResult:
+    """Sorted access, beside each shard: a round reads the next `batch` nearest tiles of every query
+    tile (twice as many each time if `doubling`), solves their new alignments, and bounds the unseen
+    ones by the matrix of the last distances seen."""
+    return _walked(tiles, query, k, spec, shards, "threshold", solver, batch=batch, doubling=doubling, bound=bound)
+
+
+def frontier(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, wave: int = 64, growing: bool = True, defer: bool = True, solver: str = "corner_dp") -> SearchResult:
+    """Best-first down each shard's tree: inner boxes, leaves and (tile, query tile) pairs share one
+    queue; alignments are solved `wave` at a time, and what cannot reach the k-th score ends it."""
+    return _walked(tiles, query, k, spec, shards, "frontier", solver, wave=wave, growing=growing, defer=defer)
 
 
 def auto(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, cut: int = 20, admit: float = 0.3, **how) -> SearchResult:

@@ -27,7 +27,6 @@ def order() -> tuple:
     return F.desc("score"), F.asc("image_id"), F.asc("dr"), F.asc("dc")
 
 
-
 @dataclass
 class SearchStats:
     algorithm: str
@@ -35,6 +34,10 @@ class SearchStats:
     rounds: int = 0
     opened: int = 0
     max_queue: int = 0
+    accesses: int = 0
+    distances: int = 0
+    nn_seconds: float = 0.0
+    solve_seconds: float = 0.0
     admitted: int = 0
 
 
@@ -107,31 +110,34 @@ def solve_canvases(canvases: DataFrame, queries: list[Query], spec: ScoreSpec, k
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[tuple] = []
-            for row in b.to_pylist():
-                t = row["tiles"]
-                r, c = np.array([x["r"] for x in t]), np.array([x["c"] for x in t])
-                f = np.array([[x[n] for n in names] for x in t], float)
+            flat, ends = b.column("tiles").flatten(), b.column("tiles").value_lengths().to_numpy().cumsum()
+            every_r, every_c = (flat.field(x).to_numpy().astype(np.int64) for x in ("r", "c"))
+            every_f = np.stack([flat.field(x).to_numpy() for x in names], 1)
+            wanted = b.column("at").to_pylist() if only else None
+            for row, (image_id, end) in enumerate(zip(b.column("image_id").to_pylist(), ends.tolist())):
+                own_tiles = slice(int(ends[row - 1]) if row else 0, end)
+                r, c, f = every_r[own_tiles], every_c[own_tiles], every_f[own_tiles]
                 for q in queries:
-                    if exclude_self and q.source == row["image_id"]:
+                    if exclude_self and q.source == image_id:
                         continue
                     s = ImageScores(r, c, f, q, spec)
                     dr, dc, m, inside = s.dr, s.dc, s.matrix, None
                     if overlap == "inside":
                         inside = (dr >= 0) & (dc >= 0) & (dr + q.h <= r.max() + 1) & (dc + q.w <= c.max() + 1)
                     if only:
-                        own = np.array([(x["dr"], x["dc"]) for x in row["at"] if x["query_id"] == q.query_id], np.int64).reshape(-1, 2)
+                        own = np.array([(x["dr"], x["dc"]) for x in wanted[row] if x["query_id"] == q.query_id], np.int64).reshape(-1, 2)
                         at = s.rows_of(own[:, 0], own[:, 1])
                         dr, dc, m, inside = dr[at], dc[at], m[at], None if inside is None else inside[at]
                     if not len(dr):
                         continue
                     a, d, score, mask, solved = best_rows(dr, dc, m, q, solver, corners, k if prune else None, floor, min_cells, inside)
                     if counts:
-                        out.append((q.query_id, row["image_id"], solved))
+                        out.append((q.query_id, image_id, solved))
                         continue
                     if k is not None and not prune:
                         top = np.lexsort((d, a, -score))[:k]
                         a, d, score, mask = a[top], d[top], score[top], mask[top]
-                    out += [(q.query_id, row["image_id"], int(x), int(y), float(z), int(n).bit_count(), int(n)) for x, y, z, n in zip(a, d, score, mask)]
+                    out += [(q.query_id, image_id, int(x), int(y), float(z), int(n).bit_count(), int(n)) for x, y, z, n in zip(a, d, score, mask)]
             kinds = [pa.int64(), pa.int64(), pa.int64()] if counts else [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.float64(), pa.int32(), pa.int64()]
             cols = list(zip(*out)) if out else [[] for _ in kinds]
             labels = ["query_id", "image_id", "solved"] if counts else ["query_id", "image_id", "dr", "dc", "score", "n_cells", "mask"]
