@@ -6,9 +6,11 @@ aggregation of its table; a dense carrier adds the cells without rows as all-zer
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..features import descriptors as D
 from ..tables import load
 
 YEAR0, ROWS, COLUMNS = 1995, 7, 12
@@ -122,19 +124,33 @@ def strips(texts: DataFrame, id_col: str, text_col: str = "text") -> DataFrame:
     return _with_bg(s, f, {"image_id": F.col("image_id"), "r": F.lit(0), "c": F.col("c")})
 
 
+def glyph(spark: SparkSession, sf_dir: str, dim: int = 6, sample: int = 16) -> DataFrame:
+    """C4: texts as rasters of characters, 8 x 8 tiles; features are the structure histogram's first
+    `dim` principal components in thousandths, bg the L1 distance to a blank tile's.
+
+    The components are learned from one in `sample` images by hash (a documented sample of a
+    model's training rows); every tile is projected."""
+    tiles = D.glyph_tiles(load(spark, sf_dir, "documents", "doc_id", "text"))
+    some = D.describe(tiles.filter(F.pmod(F.xxhash64("image_id"), F.lit(sample)) == 0))
+    model = D.fit_pca(some)
+    blank = (D.structure_histogram(np.full((1, D.TILE**2), ord(" "))) - model.mean) @ model.components[:dim].T
+    out = D.project(D.describe(tiles), model, dim)
+    f = [f"f{i}" for i in range(dim)]
+    out = out.select("image_id", "r", "c", *[F.round(F.col(x) * 1000).alias(x) for x in f])
+    return out.withColumn("bg", sum(F.abs(F.col(x) - float(np.round(v * 1000))) for x, v in zip(f, blank[0])))
+
+
 def planted(tiles: DataFrame, h: int, w: int, occluded: float = 0.0, gray: int = 0, rows: int = ROWS, columns: int = COLUMNS) -> DataFrame:
     """C9: an empty (or constant gray) host for each image with a patch of the image pasted at an
     offset given by its id; the patch's leftmost columns come from the next image instead."""
     f = feature_columns(tiles)
     hide = int(occluded * w)
     n = tiles.select("image_id").distinct().count()
-    at_r, at_c = F.col("image_id") % (rows - h + 1), (F.col("image_id") * 5) % (columns - w + 1)
     host = (F.col("image_id") + n - F.when(F.col("k") == 1, F.lit(1)).otherwise(F.lit(0))) % n
     both = tiles.withColumn("k", F.explode(F.array(F.lit(0), F.lit(1)))).withColumn("host", host)
     col = F.col("c") - (F.col("host") * 5) % (columns - w + 1)
     row = F.col("r") - F.col("host") % (rows - h + 1)
     inside = (col >= 0) & (col < w) & (row >= 0) & (row < h) & F.when(F.col("k") == 1, col < hide).otherwise(col >= hide)
-    del at_r, at_c
     patch = both.filter(inside).select(F.col("host").alias("image_id"), "r", "c", *f)
     cells = tiles.select("image_id").distinct().withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(rows * columns - 1))))
     cells = cells.select("image_id", F.expr(f"CAST(i DIV {columns} AS INT)").alias("r"), (F.col("i") % columns).cast("int").alias("c"))

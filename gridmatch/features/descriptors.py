@@ -6,7 +6,7 @@ pass: each task adds up a D x D moment matrix, the driver solves the eigenproble
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,17 +17,47 @@ from pyspark.sql import functions as F
 WIDTH, TILE, LEVELS, WIN = 64, 8, 256, 3
 
 
-def glyph_pixels(texts: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """image_id, y, x, px of every whole raster band of TILE lines (incomplete border tiles go)."""
-    n = (F.length(text_col) / (WIDTH * TILE)).cast("int") * (WIDTH * TILE)
-    t = texts.filter(F.length(text_col) >= WIDTH * TILE).select(F.col(id_col).alias("image_id"), F.posexplode(F.split(F.substr(F.col(text_col), F.lit(1), n), "")).alias("i", "ch"))
-    return t.filter(F.col("ch") != "").select("image_id", F.expr(f"i DIV {WIDTH}").cast("int").alias("y"), (F.col("i") % WIDTH).cast("int").alias("x"), (F.ascii("ch") % LEVELS).alias("px"))
+def glyph_tiles(texts: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, tile: int = TILE, edge: str = "drop") -> DataFrame:
+    """image_id, r, c, bg (sum of pixels), px (the tile's pixels in order) of every text's raster.
 
+    Characters become pixels in the Arrow batch, so only whole tiles leave it.  `edge`: `drop` cuts
+    an unfinished band of lines off, `pad` fills it with zeros.  Null texts have no tiles."""
+    if edge not in ("drop", "pad"):
+        raise ValueError("edge is drop or pad")
+    band = width * tile
 
-def tile_pixels(pixels: DataFrame, tile: int = TILE) -> DataFrame:
-    """image_id, r, c, bg (sum of pixels) and the tile's pixels in order."""
-    g = pixels.groupBy("image_id", F.expr(f"y DIV {tile}").cast("int").alias("r"), F.expr(f"x DIV {tile}").cast("int").alias("c"))
-    return g.agg(F.sum("px").cast("long").alias("bg"), F.transform(F.array_sort(F.collect_list(F.struct("y", "x", "px"))), lambda p: p["px"]).alias("px")).filter(F.size("px") == tile * tile)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for image, text in zip(b.column("image_id"), b.column("text")):
+                px = np.frombuffer((text.as_py() or "").encode("utf-32-le"), "<u4") % LEVELS
+                if edge == "pad":
+                    px = np.pad(px, (0, -len(px) % band))
+                bands = len(px) // band
+                for at in range(0, bands, 1024):  # a very long text goes out in parts
+                    part = px[at * band : min(at + 1024, bands) * band].astype(np.int32)
+                    grid = part.reshape(-1, tile, width // tile, tile).transpose(0, 2, 1, 3).reshape(-1, tile * tile)
+                    r, c = np.divmod(np.arange(len(grid)), width // tile)
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(grid) + 1, dtype=np.int32) * tile**2), pa.array(grid.ravel()))
+                    yield pa.RecordBatch.from_arrays([pa.array([image.as_py()] * len(grid), pa.int64()), pa.array((r + at).astype(np.int32)), pa.array(c.astype(np.int32)), pa.array(grid.sum(1).astype(np.int64)), lists], ["image_id", "r", "c", "bg", "px"])
+
+    return texts.select(F.col(id_col).cast("long").alias("image_id"), F.col(text_col).alias("text")).mapInArrow(run, "image_id long, r int, c int, bg long, px array<int>")
+
+
+def binary_tiles(files: DataFrame, width: int, tile: int = TILE) -> DataFrame:
+    """The same for raw 8-bit gray images as Spark's `binaryFile` source reads them (path, content);
+    image_id is a hash of the path, and incomplete border tiles go."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for image, raw in zip(b.column("image_id"), b.column("content")):
+                px = np.frombuffer(raw.as_py() or b"", np.uint8)
+                lines, across = len(px) // width // tile * tile, width // tile
+                grid = px[: lines * width].reshape(lines, width)[:, : across * tile].astype(np.int32)
+                grid = grid.reshape(-1, tile, across, tile).transpose(0, 2, 1, 3).reshape(-1, tile * tile)
+                r, c = np.divmod(np.arange(len(grid)), max(across, 1))
+                yield pa.RecordBatch.from_arrays([pa.array([image.as_py()] * len(grid), pa.int64()), pa.array(r.astype(np.int32)), pa.array(c.astype(np.int32)), pa.array(grid.sum(1).astype(np.int64)), pa.array(list(grid), pa.list_(pa.int32()))], ["image_id", "r", "c", "bg", "px"])
+
+    return files.select(F.xxhash64("path").alias("image_id"), "content").mapInArrow(run, "image_id long, r int, c int, bg long, px array<int>")
 
 
 def structure_histogram(px: np.ndarray, tile: int = TILE, win: int = WIN) -> np.ndarray:
@@ -45,15 +75,39 @@ def structure_histogram(px: np.ndarray, tile: int = TILE, win: int = WIN) -> np.
     return out / at**2
 
 
-def describe(tiles: DataFrame) -> DataFrame:
-    """image_id, r, c, bg, fv (LEVELS shares)."""
+def level_histogram(px: np.ndarray) -> np.ndarray:
+    """Share of the pixels at each level: rows x LEVELS."""
+    out = np.zeros((len(px), LEVELS))
+    np.add.at(out, (np.repeat(np.arange(len(px)), px.shape[1]), px.ravel()), 1 / px.shape[1])
+    return out
+
+
+def moments_descriptor(px: np.ndarray) -> np.ndarray:
+    """Mean, deviation, and mean steps across and down: rows x 4."""
+    side = int(np.sqrt(px.shape[1]))
+    g = px.reshape(-1, side, side).astype(float)
+    return np.stack([g.mean((1, 2)), g.std((1, 2)), np.abs(np.diff(g, axis=2)).mean((1, 2)), np.abs(np.diff(g, axis=1)).mean((1, 2))], 1)
+
+
+DESCRIPTORS: dict[str, Callable[[np.ndarray], np.ndarray]] = {"structure": structure_histogram, "levels": level_histogram, "moments": moments_descriptor}
+
+
+def register_descriptor(name: str, f: Callable[[np.ndarray], np.ndarray]) -> None:
+    """Make `f` (rows x pixels -> rows x D) usable in `describe`; it must be importable on the workers."""
+    DESCRIPTORS[name] = f
+
+
+def describe(tiles: DataFrame, descriptor: str = "structure") -> DataFrame:
+    """image_id, r, c, bg, fv (the descriptor's D numbers)."""
+    f = DESCRIPTORS[descriptor]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for a in range(0, b.num_rows, 500):
                 part = b.slice(a, 500)
-                h = structure_histogram(part.column("px").flatten().to_numpy().astype(np.int64))
-                yield pa.RecordBatch.from_arrays([*(part.column(n) for n in ("image_id", "r", "c", "bg")), pa.array(list(h), pa.list_(pa.float64()))], ["image_id", "r", "c", "bg", "fv"])
+                h = f(part.column("px").flatten().to_numpy().astype(np.int64).reshape(part.num_rows, -1))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(h) + 1, dtype=np.int32) * h.shape[1]), pa.array(h.ravel()))
+                yield pa.RecordBatch.from_arrays([*(part.column(n) for n in ("image_id", "r", "c", "bg")), lists], ["image_id", "r", "c", "bg", "fv"])
 
     return tiles.select("image_id", "r", "c", "bg", "px").mapInArrow(run, "image_id long, r int, c int, bg long, fv array<double>")
 
@@ -84,10 +138,11 @@ def moments(df: DataFrame, column: str = "fv") -> DataFrame:
 
 
 def fit_pca(df: DataFrame, column: str = "fv") -> PcaModel:
-    add = lambda c: [F.sum(F.get(c, 0))]
-    del add
-    parts = moments(df, column).withColumn("k", F.spark_partition_id() % 32)
-    size = df.select(F.size(column)).first()[0]
+    parts = moments(df, column)
+    one_row = df.select(F.size(column)).first()
+    if one_row is None:
+        raise ValueError("PCA needs rows")
+    size = one_row[0]
     one = parts.select(F.posexplode(F.concat(F.array(F.col("n").cast("double")), "s", "g")).alias("i", "v")).groupBy("i").agg(F.sum("v").alias("v"))
     v = np.zeros(1 + size + size * size)
     for r in one.collect():  # 1 + D + D*D numbers, whatever the data

@@ -28,48 +28,66 @@ def _better(s1, n1, m1, s2, n2, m2):
     return (s1 > s2) | ((s1 == s2) & ((n1 < n2) | ((n1 == n2) & (m1 < m2))))
 
 
-def sweep(scores: np.ndarray, h: int, w: int, corner: str) -> tuple[np.ndarray, np.ndarray]:
+def _sweeps(scores: np.ndarray, h: int, w: int, corners: tuple[str, ...]) -> tuple[np.ndarray, np.ndarray]:
     """Each cell takes the best of itself, itself with the region behind it in its row, in its
-    column, or with both (their common cells counted once).  Best end cell: scores, masks."""
+    column, or with both (their common cells counted once).  Best end cell: scores and masks,
+    corners x matrices.  All corners go together: a step handles each one's next cell."""
     b, n = scores.shape
     if n > 62:
         raise ValueError("masks hold 62 cells at most")
-    weight = np.left_shift(np.int64(1), np.arange(n, dtype=np.int64))
-    value = np.where(np.isnan(scores), 0.0, scores)
-    total = np.full((n, b), -np.inf)
-    size = np.zeros((n, b), np.int64)
-    mask = np.zeros((n, b), np.int64)
-    cells = np.zeros((n, b, n), bool)
-    best = (np.full(b, -np.inf), np.zeros(b, np.int64), np.zeros(b, np.int64))
-    for i, row, col in sweep_order(h, w, corner):
-        here = ~np.isnan(scores[:, i])
-        own = np.zeros((b, n), bool)
-        own[:, i] = True
-        options = [(value[:, i], own)]
-        for j in (row, col):
-            if j >= 0:
-                options.append((value[:, i] + total[j], own | cells[j]))
-        if row >= 0 and col >= 0:
-            common = ((cells[row] & cells[col]) * value).sum(1)
-            options.append((value[:, i] + total[row] + total[col] - common, own | cells[row] | cells[col]))
-        s, c = options[0]
-        k, m = np.ones(b, np.int64), np.full(b, weight[i])
-        for s2, c2 in options[1:]:
-            k2, m2 = c2.sum(1), c2 @ weight
+    orders = [sweep_order(h, w, c) for c in corners]
+    place = {cell: p for p, (cell, _, _) in enumerate(orders[0])}
+    cells = np.array([[cell for cell, _, _ in o] for o in orders])
+    bits = np.repeat(np.left_shift(np.int64(1), cells.T.astype(np.int64)), b, axis=1)
+    value = np.tile(np.where(np.isnan(scores), 0.0, scores), (len(corners), 1))
+    owns = np.concatenate([value[:b].T[o] for o in cells], axis=1)  # step x (corner, matrix)
+    here = np.concatenate([~np.isnan(scores).T[o] for o in cells], axis=1)
+    total = np.empty((n, len(value)))
+    size, mask = np.zeros((2, n, len(value)), np.int64)
+    best = (np.full(len(value), -np.inf), np.zeros(len(value), np.int64), np.zeros(len(value), np.int64))
+    for p, (_, row, col) in enumerate(orders[0]):
+        own, live, bit = owns[p], here[p], bits[p]
+        s, k, m = own, 1, bit
+        behind = [place[j] for j in (row, col) if j >= 0]
+        options = [(own + total[j], size[j] + 1, mask[j] | bit) for j in behind]  # no region behind holds this cell
+        if len(behind) == 2:
+            x, y = behind
+            joined = mask[x] | mask[y] | bit
+            common = _masked_sum(value, mask[x] & mask[y])
+            options.append((own + total[x] + total[y] - common, np.bitwise_count(joined).astype(np.int64), joined))
+        for s2, k2, m2 in options:
             win = (s2 > -np.inf) & _better(s2, k2, m2, s, k, m)
             s, k, m = np.where(win, s2, s), np.where(win, k2, k), np.where(win, m2, m)
-            c = np.where(win[:, None], c2, c)
-        total[i], size[i], mask[i], cells[i] = np.where(here, s, -np.inf), k, m, c & here[:, None]
-        win = here & _better(total[i], size[i], mask[i], *best)
-        best = tuple(np.where(win, x, y) for x, y in zip((total[i], size[i], mask[i]), best))
-    return best[0], best[2]
+        total[p], size[p], mask[p] = np.where(live, s, -np.inf), k, np.where(live, m, 0)
+        win = live & _better(total[p], size[p], mask[p], *best)
+        best = tuple(np.where(win, x, y) for x, y in zip((total[p], size[p], mask[p]), best))
+    return best[0].reshape(len(corners), b), best[2].reshape(len(corners), b)
+
+
+def _masked_sum(value: np.ndarray, mask: np.ndarray) -> np.ndarray:
+    """Each row's sum over the cells of its mask."""
+    at = np.flatnonzero(mask)
+    out = np.zeros(len(mask))
+    if len(at) > len(mask) // 4:
+        at = slice(None)
+    bits = np.unpackbits(mask[at].astype("<i8").view(np.uint8).reshape(-1, 8), axis=1, count=value.shape[1], bitorder="little")
+    out[at] = np.einsum("ij,ij->i", bits, value[at])
+    return out
+
+
+def sweep(scores: np.ndarray, h: int, w: int, corner: str) -> tuple[np.ndarray, np.ndarray]:
+    """The sweep from one corner: scores and masks."""
+    s, m = _sweeps(scores, h, w, (corner,))
+    return s[0], m[0]
 
 
 def corner_dp(scores: np.ndarray, h: int, w: int, corners: tuple[str, ...] = CORNERS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Best of the corners' sweeps: scores (-inf without cells), masks, corner numbers."""
+    if len(scores) > 512:  # what a step handles stays in the processor's cache
+        parts = [corner_dp(scores[a : a + 512], h, w, corners) for a in range(0, len(scores), 512)]
+        return tuple(np.concatenate(x) for x in zip(*parts))
     best = None
-    for corner in corners:
-        s, m = sweep(scores, h, w, corner)
+    for corner, s, m in zip(corners, *_sweeps(scores, h, w, corners)):
         n = np.bitwise_count(m).astype(np.int64)
         k = np.full(len(s), CORNERS.index(corner))
         if best is None:

@@ -136,14 +136,14 @@ def _walked(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Sha
     return SearchResult(ranked(hits_of(found), k), stats)
 
 
-def threshold(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, batch: int = 8, doubling: bool = True, bound: str = "positive_sum", solver: str = "corner_dp") -> SearchResult:
+def threshold(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, batch: int = 64, doubling: bool = True, bound: str = "positive_sum", solver: str = "corner_dp") -> SearchResult:
     """Sorted access, beside each shard: a round reads the next `batch` nearest tiles of every query
     tile (twice as many each time if `doubling`), solves their new alignments, and bounds the unseen
     ones by the matrix of the last distances seen."""
     return _walked(tiles, query, k, spec, shards, "threshold", solver, batch=batch, doubling=doubling, bound=bound)
 
 
-def frontier(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, wave: int = 64, growing: bool = True, defer: bool = True, solver: str = "corner_dp") -> SearchResult:
+def frontier(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, shards: Shards | None = None, wave: int = 256, growing: bool = True, defer: bool = True, solver: str = "corner_dp") -> SearchResult:
     """Best-first down each shard's tree: inner boxes, leaves and (tile, query tile) pairs share one
     queue; alignments are solved `wave` at a time, and what cannot reach the k-th score ends it."""
     return _walked(tiles, query, k, spec, shards, "frontier", solver, wave=wave, growing=growing, defer=defer)

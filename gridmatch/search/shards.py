@@ -162,22 +162,35 @@ class Cursor:
         self.d, self.tiles = np.zeros(0), np.zeros(0, np.int64)
 
     def take(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        """The next n (distances, tiles); fewer at the end."""
-        while self.opened < len(self.order) and (len(self.d) < n or self.d[n - 1] > self.near[self.opened]):
-            more = self.order[self.opened : self.opened + max(1, -(-(n - len(self.d)) // LEAF))]
+        """The next n (distances, tiles) in order; fewer at the end."""
+        step = max(1, -(-(n - len(self.d)) // LEAF))
+        while self.opened < len(self.order):
+            reach = np.partition(self.d, n - 1)[n - 1] if len(self.d) >= n else np.inf
+            needed = int(np.searchsorted(self.near, reach, side="right")) - self.opened  # leaves that may hold nearer ones
+            if needed <= 0:
+                break
+            more = self.order[self.opened : self.opened + min(needed, step)]
             self.opened += len(more)
+            step *= 2
             tiles = np.concatenate([self.t.s.leaf(i) for i in more])
             d = self.t.spec.distance(self.t.s.f[tiles], self.t.q.features[self.cell])
             self.t.count["distances"] += len(d)
-            d, tiles = np.concatenate([self.d, d]), np.concatenate([self.tiles, tiles])
-            order = np.argsort(d, kind="stable")
-            self.d, self.tiles = d[order], tiles[order]
-        out = self.d[:n], self.tiles[:n]
-        self.d, self.tiles = self.d[n:], self.tiles[n:]
+            self.d, self.tiles = np.concatenate([self.d, d]), np.concatenate([self.tiles, tiles])
+        if n < len(self.d):
+            reach = np.partition(self.d, n - 1)[n - 1]
+            first = np.flatnonzero(self.d < reach)
+            first = np.concatenate([first, np.flatnonzero(self.d == reach)[: n - len(first)]])
+        else:
+            first = np.arange(len(self.d))
+        first = first[np.argsort(self.d[first], kind="stable")]
+        out = self.d[first], self.tiles[first]
+        rest = np.ones(len(self.d), bool)
+        rest[first] = False
+        self.d, self.tiles = self.d[rest], self.tiles[rest]
         return out
 
 
-def threshold(t: Task, batch: int = 8, doubling: bool = True, bound: str = "positive_sum") -> None:
+def threshold(t: Task, batch: int = 64, doubling: bool = True, bound: str = "positive_sum") -> None:
     """Rounds of sorted access to every query tile's neighbours; a round's new alignments are solved,
     and the unseen ones are bounded by the matrix of the distances reached."""
     began = time.perf_counter()
@@ -205,68 +218,90 @@ def threshold(t: Task, batch: int = 8, doubling: bool = True, bound: str = "posi
         batch *= 2 if doubling else 1
 
 
-def frontier(t: Task, wave: int = 64, growing: bool = True, defer: bool = True) -> None:
+class Pool:
+    """(distance, alignment) pairs of opened leaves: a sorted part, and new ones not merged yet."""
+
+    def __init__(self):
+        self.far, self.at = np.zeros(0), np.zeros(0, np.int64)
+        self.new: list[tuple[np.ndarray, np.ndarray]] = []
+        self.n_new = 0
+
+    def add(self, far: np.ndarray, at: np.ndarray) -> None:
+        self.new.append((far, at))
+        self.n_new += len(far)
+
+    def take(self, upto: float, most: int) -> tuple[np.ndarray, float]:
+        """Alignments of the nearest pairs, up to a distance and about `most` of them, and the distance reached."""
+        if self.n_new > max(4096, len(self.far) // 4):
+            far, at = (np.concatenate(x) for x in zip((self.far, self.at), *self.new))
+            order = np.argsort(far, kind="stable")
+            self.far, self.at, self.new, self.n_new = far[order], at[order], [], 0
+        far, at = (np.concatenate(x) for x in zip((np.zeros(0), np.zeros(0, np.int64)), *self.new))
+        head = self.far[: most + 1]
+        near = np.concatenate([head, far[far <= upto]])
+        if len(near) > most:
+            upto = min(upto, float(np.partition(near, most - 1)[most - 1]))
+        n = np.searchsorted(self.far, upto, side="right")
+        now = far <= upto
+        out = np.concatenate([self.at[:n], at[now]])
+        self.far, self.at = self.far[n:], self.at[n:]
+        if now.any():
+            self.new, self.n_new = [(far[~now], at[~now])], int((~now).sum())
+        return out, upto
+
+    def __len__(self) -> int:
+        return len(self.far) + self.n_new
+
+
+def frontier(t: Task, wave: int = 256, growing: bool = True, defer: bool = True) -> None:
     """One pass over the tree in order of distance to any query tile.  A leaf's (tile, query tile)
-    pairs go back to the queue under their own distances (`defer`), or all of a tile's under the
-    nearest one's; alignments are solved when `wave` new ones are due."""
+    pairs wait under their own distances (`defer`), or all of a tile's under the nearest one's;
+    new alignments are solved when `wave` pairs are due, and the pass ends where nothing farther
+    can reach the k-th score."""
     began = time.perf_counter()
-    lows = t.s.levels
-    queue: list[tuple[float, int, int, int]] = [(0.0, 0, len(lows) - 1, 0)]
-    blocks: list[tuple[np.ndarray, np.ndarray]] = []
-    due: list[np.ndarray] = []
-    n_due = 0
+    boxes = t.s.levels
+    queue: list[tuple[float, int, int]] = [(0.0, len(boxes) - 1, 0)]
+    pool, due, n_due = Pool(), [], 0
 
     def settle() -> None:
         nonlocal due, n_due, wave, began
-        t.clock["nn_seconds"] += time.perf_counter() - began
-        t.solve(np.concatenate(due))
-        began = time.perf_counter()
-        due, n_due, wave = [], 0, wave * 2 if growing else wave
+        if n_due:
+            t.clock["nn_seconds"] += time.perf_counter() - began
+            t.solve(np.concatenate(due))
+            began = time.perf_counter()
+            due, n_due, wave = [], 0, wave * 2 if growing else wave
         t.count["rounds"] += 1
 
-    while queue:
-        d, kind, level, i = heapq.heappop(queue)
-        if t.bound(d) < t.kth:
-            if not n_due:
-                break
+    while queue or len(pool):
+        ahead = queue[0][0] if queue else np.inf
+        at, reached = pool.take(ahead, wave) if len(pool) else (np.zeros(0, np.int64), ahead)
+        if len(at):
+            new = t.fresh(at)
+            due.append(new)
+            n_due += len(new)
+        if n_due >= wave or t.bound(reached) < t.kth:
             settle()
-            if t.bound(d) < t.kth:
+            if t.bound(reached) < t.kth:
                 break
+        if reached < ahead or not queue:
+            continue
+        _, level, i = heapq.heappop(queue)
         t.count["popped"] += 1
-        if kind == 1:  # a leaf's pairs up to the next entry's distance
-            far, at = blocks[i]
-            upto = np.searchsorted(far, queue[0][0] if queue else np.inf, side="right")
-            new = t.fresh(at[:upto])
-            if len(new):
-                due.append(new)
-                n_due += len(new)
-            if upto < len(far):
-                blocks[i] = far[upto:], at[upto:]
-                heapq.heappush(queue, (float(far[upto]), 1, 0, i))
-            else:
-                blocks[i] = (far[:0], at[:0])
-            if n_due >= wave:
-                settle()
-        elif level:
-            a, b = i * FANOUT, min((i + 1) * FANOUT, len(lows[level - 1][0]))
-            lo, hi = lows[level - 1][0][a:b], lows[level - 1][1][a:b]
+        if level:
+            a, b = i * FANOUT, min((i + 1) * FANOUT, len(boxes[level - 1][0]))
+            lo, hi = boxes[level - 1][0][a:b], boxes[level - 1][1][a:b]
             near = t.spec.mindist(t.q.features[:, None, :], lo, hi).min(axis=0)
             for j, x in enumerate(near.tolist()):
-                heapq.heappush(queue, (x, 0, level - 1, a + j))
+                heapq.heappush(queue, (x, level - 1, a + j))
         else:
             tiles = t.s.leaf(i)
             far = t.spec.distance(t.s.f[tiles][:, None, :], t.q.features)
             t.count["distances"] += far.size
-            at = t.alignment(np.repeat(tiles, t.q.n), np.tile(np.arange(t.q.n), len(tiles)))
-            far = (far if defer else np.repeat(far.min(axis=1), t.q.n)).ravel()
-            order = np.argsort(far, kind="stable")
-            blocks.append((far[order], at[order]))
             t.count["accesses"] += len(tiles)
-            heapq.heappush(queue, (float(far[order[0]]), 1, 0, len(blocks) - 1))
-        t.count["max_queue"] = max(t.count["max_queue"], len(queue))
+            pool.add((far if defer else np.repeat(far.min(axis=1), t.q.n)).ravel(), t.alignment(np.repeat(tiles, t.q.n), np.tile(np.arange(t.q.n), len(tiles))))
+        t.count["max_queue"] = max(t.count["max_queue"], len(queue) + len(pool))
     t.clock["nn_seconds"] += time.perf_counter() - began
-    if n_due:
-        settle()
+    settle()
 
 
 WALKS = {"scan": scan, "scan_pruned": lambda t: scan(t, True), "threshold": threshold, "frontier": frontier}
