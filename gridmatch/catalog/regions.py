@@ -33,18 +33,33 @@ def _pairs(spark, d, name="p22", metric="l1"):
 PAIR = f"WITH {TILES}, {qtiles('p22')}, p AS (SELECT image_id, r, c, q, qbg, CAST({DIST} AS BIGINT) dist, * EXCLUDE (image_id, r, c, q, qbg) FROM tiles, qt)"
 
 
+#: What a grid of values comes to for each image and query tile: enough to tell any value or place apart.
+DIGEST = "count(*) n, CAST(sum(v) AS BIGINT) total, CAST(min(v) AS BIGINT) low, CAST(max(v) AS BIGINT) high, CAST(sum(v * pos) AS BIGINT) placed"
+
+
+def digest(df, value, at):
+    x = df.withColumn("v", value).withColumn("pos", at.cast("long"))
+    return x.groupBy("image_id", "q").agg(F.count("*").alias("n"), F.sum("v").alias("total"), F.min("v").alias("low"), F.max("v").alias("high"), F.sum(F.col("v") * F.col("pos")).alias("placed"))
+
+
+def digest_sql(ctes: str, value: str, at: str, source: str) -> str:
+    return f"{ctes} SELECT image_id, q, {DIGEST} FROM (SELECT image_id, q, CAST({value} AS BIGINT) v, CAST({at} AS BIGINT) pos FROM {source}) GROUP BY 1, 2"
+
+
 def _scored(name, column, sql):
-    @query(name, f"{PAIR} SELECT image_id, r, c, q, {sql} score FROM p")
+    """Scores in thousandths, by image and query tile."""
+
+    @query(name, digest_sql(PAIR, f"round(({sql}) * 1000)", "r * 12 + c + 1", "p"))
     def run(spark, d):
-        return _pairs(spark, d).select("image_id", "r", "c", "q", column().alias("score"))
+        return digest(_pairs(spark, d), F.round(column() * 1000).cast("long"), F.col("r") * 12 + F.col("c") + 1)
 
 
 bg, di = lambda: F.col("qbg"), lambda: F.col("dist")
-_scored("score_discriminator", lambda: S.discriminator_score(bg(), di(), 1, 150), "CAST(qbg - dist - 150 AS BIGINT)")
-_scored("score_log_odds", lambda: F.round(S.log_odds_score(bg().cast("double"), di().cast("double"), 0.02, 0.01), 6), "round(0.01 * qbg - 0.02 * dist + ln(2.0::DOUBLE), 6)")
-_scored("score_template_sqrt", lambda: F.round(S.template_score(bg().cast("double"), di().cast("double"), "sqrt", 150), 6), "round(qbg - sqrt(dist) - 150, 6)")
-_scored("score_template_square", lambda: S.template_score(bg(), di(), "square", 150).cast("long"), "CAST(qbg - dist * dist - 150 AS BIGINT)")
-_scored("score_template_capped", lambda: F.round(S.template_score(bg().cast("double"), di().cast("double"), "capped", 150), 6), "round(qbg - least(dist, 1000.0::DOUBLE) - 150, 6)")
+_scored("score_discriminator", lambda: S.discriminator_score(bg(), di(), 1, 150), "qbg - dist - 150")
+_scored("score_log_odds", lambda: S.log_odds_score(bg().cast("double"), di().cast("double"), 0.02, 0.01), "0.01::DOUBLE * qbg - 0.02::DOUBLE * dist + ln(2.0::DOUBLE)")
+_scored("score_template_sqrt", lambda: S.template_score(bg().cast("double"), di().cast("double"), "sqrt", 150), "qbg - sqrt(dist) - 150")
+_scored("score_template_square", lambda: S.template_score(bg(), di(), "square", 150), "qbg - dist * dist - 150")
+_scored("score_template_capped", lambda: S.template_score(bg().cast("double"), di().cast("double"), "capped", 150), "qbg - least(dist, 1000.0::DOUBLE) - 150")
 
 
 @query("score_equivalence", f"{PAIR} SELECT q, count(*) n, true same FROM p GROUP BY q")
@@ -57,13 +72,12 @@ def score_equivalence(spark, d):
 
 
 LINF = "greatest(" + ", ".join(f"abs(f{i} - q{i})" for i in range(6)) + ")"
-L2 = "round(sqrt(" + " + ".join(f"(f{i} - q{i}) * (f{i} - q{i})" for i in range(6)) + "), 6)"
-for _m, _sql in (("l1", "dist"), ("l2", L2), ("linf", f"CAST({LINF} AS BIGINT)")):
+L2 = "sqrt(CAST(" + " + ".join(f"(f{i} - q{i}) * (f{i} - q{i})" for i in range(6)) + " AS DOUBLE))"
+for _m, _sql in (("l1", "dist"), ("l2", L2), ("linf", LINF)):
 
-    @query(f"distance_{_m}", f"{PAIR} SELECT image_id, r, c, q, {_sql} d FROM p")
+    @query(f"distance_{_m}", digest_sql(PAIR, f"round(({_sql}) * 1000)", "r * 12 + c + 1", "p"))
     def distances(spark, d, m=_m):
-        x = F.round("dist", 6) if m == "l2" else F.col("dist").cast("long")
-        return _pairs(spark, d, metric=m).select("image_id", "r", "c", "q", x.alias("d"))
+        return digest(_pairs(spark, d, metric=m), F.round(F.col("dist") * 1000).cast("long"), F.col("r") * 12 + F.col("c") + 1)
 
 
 @query("histogram_emd", f"WITH {TILES} SELECT image_id, r, c, CAST(abs(f0 - f3) + abs(f0 + f1 - f3 - f4) + abs(f0 + f1 + f2 - f3 - f4 - f5) AS BIGINT) emd FROM tiles")
@@ -122,22 +136,39 @@ def overlaps_from_pairs(spark, d):
     return _pairs(spark, d).filter("dist < 200").select("image_id", "dr", "dc").distinct()
 
 
-@query("overlaps_dihedral", f"WITH {TILES}, {qtiles('p22')} SELECT CAST(k AS INTEGER) query_id, CAST(sum(qbg) AS BIGINT) qbg FROM qt, range(8) g(k) GROUP BY 1")
+def _dihedral_sql():
+    """The best alignment of each rotated or reflected query: its cells are the query's, moved."""
+    grid, parts = np.arange(4).reshape(2, 2), []
+    for k, g in enumerate(x for turn in range(4) for x in (np.rot90(grid, turn), np.fliplr(np.rot90(grid, turn)))):
+        moved = ", ".join(f"({i}, {o})" for i, o in enumerate(g.ravel().tolist()))
+        qt = f"qt AS (SELECT CAST(i AS INTEGER) q, i // 2 qr, i % 2 qc, qbg, {', '.join(f'q{j}' for j in range(6))} FROM qt0 JOIN (VALUES {moved}) m(i, o) ON q = o)"
+        ctes = exact_sql("p22").replace("qt AS (", "qt0 AS (", 1).replace(", cells AS", f", {qt}, cells AS", 1)
+        parts.append(f"SELECT CAST({k} AS BIGINT) query_id, * FROM (WITH {ctes} SELECT image_id, dr, dc, CAST(b.s AS BIGINT) score FROM best ORDER BY score DESC, image_id, dr, dc LIMIT 3)")
+    return " UNION ALL ".join(parts)
+
+
+@query("overlaps_dihedral", _dihedral_sql())
 def overlaps_dihedral(spark, d):
-    qs = P.dihedral(patch(tiles(spark, d)))
-    return spark.createDataFrame([(q.query_id, int(q.bg.sum())) for q in qs], "query_id int, qbg long")
+    """Three best alignments of each of the eight rotated and reflected queries, searched together."""
+    from ..search import algorithms as A
 
+    t = tiles(spark, d)
+    return A.scan(t, P.dihedral(patch(t)), 3, SPEC).df.select("query_id", "image_id", "dr", "dc", F.col("score").cast("long").alias("score"))
 
-@query("score_cells_p22", f"WITH {cells_sql('p22')} SELECT image_id, dr, dc, q, score FROM cells")
+
+PLACED = "(dr + 1) * 13 + dc + 2"
+
+
+@query("score_cells_p22", digest_sql(f"WITH {cells_sql('p22')}", "score", PLACED, "cells"))
 def score_cells(spark, d):
     t = tiles(spark, d)
-    return P.cells(t, P.query_tiles(spark, patch(t)), SPEC).select("image_id", "dr", "dc", "q", "score")
+    return digest(P.cells(t, P.query_tiles(spark, patch(t)), SPEC), F.col("score"), F.expr(PLACED))
 
 
-@query("distance_cells_p22", f"WITH {cells_sql('p22')} SELECT image_id, dr, dc, q, dist FROM cells")
+@query("distance_cells_p22", digest_sql(f"WITH {cells_sql('p22')}", "dist", PLACED, "cells"))
 def distance_cells(spark, d):
     t = tiles(spark, d)
-    return P.cells(t, P.query_tiles(spark, patch(t)), SPEC).select("image_id", "dr", "dc", "q", "dist")
+    return digest(P.cells(t, P.query_tiles(spark, patch(t)), SPEC), F.col("dist"), F.expr(PLACED))
 
 
 def wide(spark, d, name="p22", spec=SPEC):
@@ -280,17 +311,39 @@ def decision_region(spark, d):
     return expressions.exact(df, 2, 2).select("image_id", "dr", "dc", (F.col("score") >= 300).alias("yes"))
 
 
-_MASKS = ", ".join(f"({m}, {b})" for m in range(1, 64) for b in [str(solvers.is_connected(m, 2, 3)).lower()])
+#: Cells and moves of a 2 x 3 grid, and what reaches what inside each mask.
+REACH = """WITH RECURSIVE masks AS (SELECT m FROM range(1, 64) g(m)), cell AS (SELECT m, i FROM masks, range(6) g(i) WHERE m & (1 << CAST(i AS INTEGER)) <> 0),
+corner AS (SELECT * FROM (VALUES ('BL', 1, 1), ('BR', 1, -1), ('TL', -1, 1), ('TR', -1, -1), ('all', 1, 1)) v(k, dr, dc)),
+step AS (SELECT k, a.i, b.i j FROM corner, range(6) a(i), range(6) b(i) WHERE (b.i // 3 - a.i // 3 = dr AND b.i % 3 = a.i % 3) OR (b.i // 3 = a.i // 3 AND b.i % 3 - a.i % 3 = dc) OR (k = 'all' AND abs(b.i // 3 - a.i // 3) + abs(b.i % 3 - a.i % 3) = 1)),
+reach AS (SELECT m, k, i src, i dst FROM cell, corner UNION SELECT r.m, r.k, r.src, s.j FROM reach r JOIN step s ON s.k = r.k AND s.i = r.dst JOIN cell c ON c.m = r.m AND c.i = s.j),
+met AS (SELECT m, k, dst, count(DISTINCT src) n FROM reach GROUP BY 1, 2, 3), most AS (SELECT m, k, max(n) = bit_count(CAST(m AS BIGINT)) yes FROM met GROUP BY 1, 2)"""
+
+
+def _masks(spark):
+    return spark.range(1, 64).withColumnRenamed("id", "mask")
 
 
-@query("region_connected", None)
+@query("region_connected", f"{REACH} SELECT m mask, yes connected FROM most WHERE k = 'all'")
 def region_connected(spark, d):
-    """All masks of a 2x3 grid with connectivity and the corners that have a sink."""
-    rows = [(m, solvers.is_connected(m, 2, 3), ",".join(sorted(solvers.sink_class(m, 2, 3)))) for m in range(1, 64)]
-    return spark.createDataFrame(rows, "mask long, connected boolean, sinks string")
+    """Connectivity of all masks of a 2x3 grid."""
+    return _masks(spark).select("mask", expressions.connected(F.col("mask"), 2, 3).alias("connected"))
 
 
-QUERIES["region_sink_class"] = lambda spark, d: region_connected(spark, d).filter("connected")
+@query("region_sink_class", f"{REACH} SELECT a.m mask, string_agg(CASE WHEN b.yes THEN b.k END, ',' ORDER BY b.k) sinks FROM most a JOIN most b ON a.m = b.m AND a.k = 'all' AND b.k <> 'all' AND a.yes GROUP BY 1")
+def region_sink_class(spark, d):
+    """The corners whose sweeps can give each connected mask."""
+    m = _masks(spark).filter(expressions.connected(F.col("mask"), 2, 3))
+    return m.select("mask", F.nullif(F.concat_ws(",", *[F.when(expressions.has_sink(F.col("mask"), 2, 3, k), F.lit(k)) for k in sorted(CORNERS)]), F.lit("")).alias("sinks"))
+
+
+@query("region_algebra", f"WITH {exact_sql('p22')}, x AS (SELECT image_id, max(-b.m) FILTER (dr = 0 AND dc = 0) a, max(-b.m) FILTER (dr = 1 AND dc = 1) b FROM best GROUP BY 1) SELECT image_id, a | b joined, a & b common FROM x")
+def region_algebra(spark, d):
+    """Union and intersection of two alignments' best regions in each image."""
+    df, _ = wide(spark, d)
+    r = expressions.exact(df, 2, 2)
+    at = lambda k: F.max(F.when((F.col("dr") == k) & (F.col("dc") == k), F.col("mask")))
+    g = r.groupBy("image_id").agg(at(0).alias("a"), at(1).alias("b"))
+    return g.select("image_id", expressions.region_union(F.col("a"), F.col("b")).alias("joined"), expressions.region_intersect(F.col("a"), F.col("b")).alias("common"))
 
 
 @query("steiner_instance_cells", "SELECT CAST(r AS INTEGER) r, CAST(c AS INTEGER) c, CAST(CASE WHEN r % 2 = 0 AND c % 2 = 0 THEN CASE WHEN (r = 0 AND c IN (0, 4)) OR (r = 4 AND c = 2) THEN 19 ELSE 0 END ELSE -1 END AS BIGINT) score FROM range(5) a(r), range(5) b(c) WHERE NOT (r % 2 = 1 AND c % 2 = 1)")

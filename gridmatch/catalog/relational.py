@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..carriers import grids
 from ..overlap import placements as P
 from ..tables import load, register
-from .base import CAL, SPEC, TILES, cells_sql, patch, tiles
+from .base import CAL, SPEC, TILES, cells_sql, corner_sql, exact_sql, patch, sweep_sql, tiles, wide_sql
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -154,8 +154,12 @@ def exact_copy_docs(spark, d):
 
 @query("nearest_query_tile", f"WITH {cells_sql('p22')}, p AS (SELECT image_id, r, c, q, {' + '.join(f'abs(f{i} - q{i})' for i in range(6))} dist FROM tiles, qt), n AS (SELECT *, row_number() OVER (PARTITION BY image_id, r, c ORDER BY dist, q) k FROM p) SELECT image_id, r, c, q FROM n WHERE k = 1")
 def nearest_query_tile(spark, d):
+    """A lateral subquery measures each tile against the query's tiles; the nearest is kept."""
     t = tiles(spark, d)
-    return P.pairs(t, P.query_tiles(spark, patch(t))).groupBy("image_id", "r", "c").agg(F.min_by("q", F.struct("dist", "q")).alias("q"))
+    t.createOrReplaceTempView("grid_tiles")
+    P.query_tiles(spark, patch(t)).createOrReplaceTempView("grid_query")
+    far = " + ".join(f"abs(f{i} - q{i})" for i in range(6))
+    return spark.sql(f"SELECT image_id, r, c, min_by(q, struct(far, q)) q FROM grid_tiles, LATERAL (SELECT q, {far} far FROM grid_query) n GROUP BY image_id, r, c")
 
 
 @query("leaf_boxes_by_image", f"{T} SELECT image_id, CAST(min(f0) AS BIGINT) lo, CAST(max(f0) AS BIGINT) hi, count(*) n FROM tiles GROUP BY 1")
@@ -240,16 +244,80 @@ def topk_offset(spark, d):
     return tiles(spark, d).select("image_id", "r", "c", "bg").orderBy(F.desc("bg"), "image_id", "r", "c").offset(10).limit(10)
 
 
-@query("sweep_union", f"{T} SELECT image_id, r FROM tiles WHERE bg > 700 UNION SELECT image_id, r FROM tiles WHERE f5 > 60")
-def sweep_union(spark, d):
+def _tops(spark, d, name="p23", **how):
+    from ..search import algorithms as A
+
     t = tiles(spark, d)
-    return t.filter("bg > 700").select("image_id", "r").union(t.filter("f5 > 60").select("image_id", "r")).distinct()
+    return A.scan(t, patch(t, name), 10, SPEC, **how).df.select("image_id", "dr", "dc")
+
+
+def _top_sql(ctes):
+    return f"SELECT image_id, dr, dc FROM (WITH {ctes} SELECT image_id, dr, dc, b.s s FROM best ORDER BY s DESC, image_id, dr, dc LIMIT 10)"
+
+
+def _one_sweep_sql(corner):
+    return f"{wide_sql('p23')}, {sweep_sql('p23', corner)}, best AS (SELECT * FROM sw_{corner})"
 
 
-@query("topk_agree", f"{T} SELECT image_id, r FROM tiles WHERE bg > 600 INTERSECT SELECT image_id, r FROM tiles WHERE f5 > 50")
+@query("sweep_union", f"{_top_sql(_one_sweep_sql('BL'))} UNION {_top_sql(_one_sweep_sql('TR'))}")
+def sweep_union(spark, d):
+    """What either of two corners' sweeps alone would rank among its ten best."""
+    return _tops(spark, d, corners=("BL",)).union(_tops(spark, d, corners=("TR",))).distinct()
+
+
+@query("topk_agree", f"{_top_sql(corner_sql('p23'))} INTERSECT {_top_sql(exact_sql('p23'))}")
 def topk_agree(spark, d):
+    """The sweeps' ten best that are also the exact solver's."""
+    return _tops(spark, d).intersect(_tops(spark, d, solver="exact"))
+
+
+@query("topk_missed", f"{_top_sql(exact_sql('p23'))} EXCEPT {_top_sql(_one_sweep_sql('BL'))}")
+def topk_missed(spark, d):
+    """The exact ten best that one corner's sweep misses."""
+    return _tops(spark, d, solver="exact").exceptAll(_tops(spark, d, corners=("BL",))).distinct()
+
+
+@query("topk_per_query", f"{C}, n AS (SELECT q, image_id, dr, dc, score, row_number() OVER (PARTITION BY q ORDER BY score DESC, image_id, dr, dc) k FROM cells) SELECT q, image_id, dr, dc, score FROM n WHERE k <= 3")
+def topk_per_query(spark, d):
+    """The three best alignments of each query tile alone."""
+    w = Window.partitionBy("q").orderBy(F.desc("score"), "image_id", "dr", "dc")
+    return cells(spark, d).withColumn("k", F.row_number().over(w)).filter("k <= 3").select("q", "image_id", "dr", "dc", "score")
+
+
+@query("all_pair_scores", f"{C} SELECT q, count(*) n, CAST(sum(score) AS BIGINT) total FROM (SELECT q, score FROM cells) GROUP BY 1")
+def all_pair_scores(spark, d):
+    """Every tile with every query tile: a nested-loop join with the query's few rows broadcast."""
+    return cells(spark, d).groupBy("q").agg(F.count("*").alias("n"), F.sum("score").alias("total"))
+
+
+@query("score_matrix_rows", f"{C} SELECT image_id, dr, dc, array_to_string(list(score ORDER BY q), ',') scores FROM cells GROUP BY 1, 2, 3")
+def score_matrix_rows(spark, d):
+    """Score matrices as lists in query order."""
+    g = cells(spark, d).groupBy("image_id", "dr", "dc").agg(F.array_sort(F.collect_list(F.struct("q", "score"))).alias("x"))
+    return g.select("image_id", "dr", "dc", F.array_join(F.transform("x", lambda e: e["score"].cast("string")), ",").alias("scores"))
+
+
+@query("precision_cube", f"{C}, h AS (SELECT q, CASE WHEN score >= 0 THEN 'yes' ELSE 'no' END hit, image_id % 2 half, score FROM cells) SELECT coalesce(CAST(q AS VARCHAR), 'all') q, coalesce(CAST(half AS VARCHAR), 'all') half, CAST(sum(CASE WHEN hit = 'yes' THEN 1 ELSE 0 END) AS BIGINT) hits, count(*) n FROM h GROUP BY CUBE (q, half)")
+def precision_cube(spark, d):
+    """Positive cells by query tile and half of the images, with all totals."""
+    h = cells(spark, d).select("q", (F.col("image_id") % 2).alias("half"), (F.col("score") >= 0).cast("long").alias("hit"))
+    g = h.cube("q", "half").agg(F.sum("hit").alias("hits"), F.count("*").alias("n"))
+    return g.select(F.coalesce(F.col("q").cast("string"), F.lit("all")).alias("q"), F.coalesce(F.col("half").cast("string"), F.lit("all")).alias("half"), "hits", "n")
+
+
+@query("sweep_recursive", f"WITH {cells_sql('p13')}, f AS (SELECT image_id, dr, dc, max(score) FILTER (q = 0) a, max(score) FILTER (q = 1) b, max(score) FILTER (q = 2) e FROM cells WHERE dr = 0 AND dc BETWEEN 0 AND 9 GROUP BY 1, 2, 3) SELECT image_id, dc, CAST(greatest(a, b + greatest(a, 0), e + greatest(b + greatest(a, 0), 0)) AS BIGINT) score FROM f")
+def sweep_recursive(spark, d):
+    """One sweep along a row as a recursive query: the best run that ends at each cell."""
     t = tiles(spark, d)
-    return t.filter("bg > 600").select("image_id", "r").intersect(t.filter("f5 > 50").select("image_id", "r"))
+    c = P.cells(t, P.query_tiles(spark, patch(t, "p13")), SPEC).filter("dr = 0 AND dc BETWEEN 0 AND 9")
+    c.select("image_id", "dc", "q", "score").createOrReplaceTempView("grid_row_cells")
+    return spark.sql(
+        """WITH RECURSIVE run(image_id, dc, q, ends) AS (
+             SELECT image_id, dc, q, score FROM grid_row_cells WHERE q = 0
+             UNION ALL
+             SELECT c.image_id, c.dc, c.q, c.score + greatest(r.ends, 0) FROM run r JOIN grid_row_cells c ON c.image_id = r.image_id AND c.dc = r.dc AND c.q = r.q + 1)
+           SELECT image_id, dc, max(ends) score FROM run GROUP BY image_id, dc"""
+    )
 
 
 @query("above_average_tiles", f"{T} SELECT image_id, r, c FROM tiles t WHERE bg > (SELECT 1.5 * avg(bg) FROM tiles u WHERE u.image_id = t.image_id)")

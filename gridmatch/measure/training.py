@@ -11,13 +11,13 @@ from ..score.functions import ScoreSpec
 from .quality import precision_at_k
 
 
-def train_parameters(run: Callable[[ScoreSpec], DataFrame], truth: DataFrame, lams: list[float], cs: list[float], k: int = 5, metric: str = "l1") -> DataFrame:
+def train_parameters(run: Callable[[ScoreSpec], DataFrame], truth: DataFrame, lams: list[float], cs: list[float], k: int = 5, metric: str = "l1", denominator: str = "returned") -> DataFrame:
     """lam, c, precision, best.  `run` gives ranked results of the training queries for a spec;
     the grid is a handful of points, each one job."""
     out = None
     for lam in lams:
         for c in cs:
-            p = precision_at_k(run(ScoreSpec(metric, lam, c)), truth, k).agg(F.avg("precision").alias("precision"))
+            p = precision_at_k(run(ScoreSpec(metric, lam, c)), truth, k, denominator, truth).agg(F.avg("precision").alias("precision"))
             row = p.select(F.lit(float(lam)).alias("lam"), F.lit(float(c)).alias("c"), "precision")
             out = row if out is None else out.union(row)
     best = out.agg(F.max_by(F.struct("lam", "c"), F.struct("precision", -F.col("lam"), -F.col("c"))).alias("b"))

@@ -65,3 +65,44 @@ def exact(df: DataFrame, h: int, w: int, prefix: str = "s") -> DataFrame:
     options = [_region(sum(cell[i] for i in range(h * w) if m >> i & 1), F.lit(m).cast("long")) for m in connected_masks(h, w)]
     kept = df.columns
     return df.withColumn("_b", _best(options)).select(*kept, F.col("_b.s").alias("score"), (-F.col("_b.n")).alias("n_cells"), (-F.col("_b.m")).alias("mask"))
+
+
+def _moved(mask: Column, h: int, w: int, dr: int, dc: int) -> Column:
+    """The cells that a mask's cells reach by one move, inside the grid."""
+    stay = sum(1 << i for i in range(h * w) if 0 <= i % w + dc < w and 0 <= i // w + dr < h)
+    by, kept = dr * w + dc, mask.bitwiseAND(F.lit(stay).cast("long"))
+    return F.shiftleft(kept, by) if by > 0 else F.shiftright(kept, -by)
+
+
+def _spread(seed: Column, mask: Column, h: int, w: int, moves: tuple) -> Column:
+    """All cells of the mask that the seed reaches by the moves inside it: one step for each cell."""
+
+    def step(seen: Column) -> Column:
+        for m in moves:
+            seen = seen.bitwiseOR(_moved(seen, h, w, *m)).bitwiseAND(mask)
+        return seen
+
+    return F.aggregate(F.sequence(F.lit(1), F.lit(h * w)), seed.bitwiseAND(mask), lambda seen, _: step(seen))
+
+
+def connected(mask: Column, h: int, w: int) -> Column:
+    """Is the mask one 4-connected region?"""
+    seed = mask.bitwiseAND(-mask)
+    return (mask != 0) & (_spread(seed, mask, h, w, ((0, 1), (0, -1), (1, 0), (-1, 0))) == mask)
+
+
+def has_sink(mask: Column, h: int, w: int, corner: str) -> Column:
+    """Has the region a cell that all of it reaches by the corner's two moves (so that the sweep can give it)?"""
+    back = ((-1 if corner[0] == "B" else 1, 0), (0, -1 if corner[1] == "L" else 1))
+    any_cell = F.lit(False)
+    for i in range(h * w):
+        any_cell = any_cell | (_spread(F.lit(1 << i).cast("long"), mask, h, w, back) == mask)
+    return (mask != 0) & any_cell
+
+
+def region_union(a: Column, b: Column) -> Column:
+    return a.bitwiseOR(b)
+
+
+def region_intersect(a: Column, b: Column) -> Column:
+    return a.bitwiseAND(b)

@@ -77,8 +77,8 @@ class Space:
 class Task:
     """One query on one shard: alignments are numbered, matrices solved in batches, the best k kept."""
 
-    def __init__(self, space: Space, query: Query, spec: ScoreSpec, k: int, solver: str, corners, floor: float):
-        self.s, self.q, self.spec, self.k, self.solver, self.corners, self.floor = space, query, spec, k, solver, corners, floor
+    def __init__(self, space: Space, query: Query, spec: ScoreSpec, k: int, solver: str, corners, floor: float, per_image: bool = False):
+        self.s, self.q, self.spec, self.k, self.solver, self.corners, self.floor, self.per_image = space, query, spec, k, solver, corners, floor, per_image
         self.high, self.wide = space.rows + query.h - 1, space.cols + query.w - 1
         self.first = np.concatenate([[0], np.cumsum(self.high * self.wide)])
         self.explored = np.zeros(self.first[-1], bool)
@@ -129,7 +129,10 @@ class Task:
             keep = s >= self.kth
             s, mask, part = (np.concatenate(x) for x in ((self.score, s[keep]), (self.mask, mask[keep]), (self.at, part[keep])))
             i, dr, dc = self.offsets(part)
-            best = np.lexsort((dc, dr, self.s.ids[i], -s))[: self.k]
+            best = np.lexsort((dc, dr, self.s.ids[i], -s))
+            if self.per_image:  # each image's best alone
+                best = best[np.sort(np.unique(i[best], return_index=True)[1])]
+            best = best[: self.k]
             self.score, self.mask, self.at = s[best], mask[best], part[best]
         self.clock["solve_seconds"] += time.perf_counter() - began
 
@@ -364,7 +367,7 @@ class Shards:
 
         return self.rows.select("ids", "sizes", "r", "c", "f").mapInArrow(run, "image_id long, r int, c int, " + ", ".join(f"f{j} double" for j in range(d)))
 
-    def walk(self, rows: DataFrame, queries: list[Query], k: int, spec: ScoreSpec, algorithm: str, solver: str, corners, floors: dict[int, float], how: dict) -> DataFrame:
+    def walk(self, rows: DataFrame, queries: list[Query], k: int, spec: ScoreSpec, algorithm: str, solver: str, corners, floors: dict[int, float], per_image: bool, how: dict) -> DataFrame:
         """k results of each shard and query, and a row of counters (image_id is null) for each."""
         visit = WALKS[algorithm]
 
@@ -374,7 +377,7 @@ class Shards:
                     space = Space(*(x.values.to_numpy() for x in row))
                     out: list[tuple] = []
                     for q in queries:
-                        t = Task(space, q, spec, k, solver, corners, floors.get(q.query_id, -np.inf))
+                        t = Task(space, q, spec, k, solver, corners, floors.get(q.query_id, -np.inf), per_image)
                         visit(t, **how)
                         i, dr, dc = t.offsets(t.at)
                         none = (None,) * (len(COUNTERS) + len(CLOCKS))
@@ -386,19 +389,20 @@ class Shards:
 
         return rows.select("ids", "sizes", "r", "c", "f", "place").mapInArrow(run, FOUND)
 
-    def search(self, queries: list[Query], k: int, spec: ScoreSpec, algorithm: str = "frontier", solver: str = "corner_dp", corners=solvers.CORNERS, **how) -> DataFrame:
-        """Saved rows of `walk` over all shards; `counters` sums them up."""
+    def search(self, queries: list[Query], k: int, spec: ScoreSpec, algorithm: str = "frontier", solver: str = "corner_dp", corners=solvers.CORNERS, per_image: bool = False, **how) -> DataFrame:
+        """Saved rows of `walk` over all shards (`per_image`: an image's best alignment alone counts);
+        `counters` sums them up."""
         if any(self.features and q.features.shape[1] != self.features for q in queries):
             raise ValueError("query and tiles differ in dimension")
         spark = self.rows.sparkSession
         if algorithm.startswith("scan") or self.n <= 2 * spark.sparkContext.defaultParallelism:
-            return saved(self.walk(self.rows, queries, k, spec, algorithm, solver, corners, {}, how))
+            return saved(self.walk(self.rows, queries, k, spec, algorithm, solver, corners, {}, per_image, how))
         early = F.pmod(F.xxhash64("shard"), F.lit(16)) == 0
-        seed = saved(self.walk(self.rows.filter(early), queries, k, spec, algorithm, solver, corners, {}, how))
+        seed = saved(self.walk(self.rows.filter(early), queries, k, spec, algorithm, solver, corners, {}, per_image, how))
         # one number for each query: the k-th score among the first shards' results
         place = F.row_number().over(_by_score())
         tops = seed.filter("image_id IS NOT NULL").withColumn("place", place).filter(F.col("place") == k).select("query_id", "score").collect()
-        rest = self.walk(self.rows.filter(~early), queries, k, spec, algorithm, solver, corners, {r[0]: r[1] for r in tops}, how)
+        rest = self.walk(self.rows.filter(~early), queries, k, spec, algorithm, solver, corners, {r[0]: r[1] for r in tops}, per_image, how)
         return saved(rest).union(seed)
 
 

@@ -8,7 +8,7 @@ from gridmatch import catalog
 from gridmatch.tables import NAMES
 
 D = "/root/testdata/sf0.001"
-FAST = ["scan_topk_p22", "scan_topk_sql_p23", "bound_verify_topk_p22", "radius_topk_p22", "threshold_topk_p22", "frontier_topk_p22", "range_regions_p22", "corner_dp_p23", "corner_dp_expr_p22", "exact_region_2x3", "best_run_p13", "str_leaf_boxes", "incremental_nn_batch2", "range_pairs", "stream_tiles", "stream_sessions", "stream_dedup", "glyph_tiles", "topk_region_asia"]
+FAST = ["scan_topk_p22", "scan_topk_sql_p23", "bound_verify_topk_p22", "radius_topk_p22", "threshold_topk_p22", "frontier_topk_p22", "range_regions_p22", "corner_dp_p23", "corner_dp_expr_p22", "exact_region_2x3", "best_run_p13", "str_leaf_boxes", "incremental_nn_batch2", "range_pairs", "stream_tiles", "stream_sessions", "stream_dedup", "glyph_tiles", "topk_region_asia", "threshold_topk_batch1", "frontier_topk_wave1", "store_threshold_topk_p25", "store_frontier_topk_p25", "scan_counters_p25", "walks_agree", "region_connected", "region_sink_class", "region_algebra", "overlaps_dihedral", "topk_missed", "sweep_recursive", "nearest_query_tile", "distance_l2", "score_log_odds", "hash_queries", "strip_truth", "pca_variance_vectors"]
 
 
 @pytest.fixture(scope="module")

@@ -61,6 +61,13 @@ def test_early_shards_set_a_floor(spark, tiles):
     assert rows_of(got) == rows_of(want)
 
 
+def test_best_of_each_image(tiles, store):
+    q = a_query(2, 2, 5)
+    want = rows_of(A.scan(tiles, q, 8, SPEC, per_image=True).df)
+    for walk in ("scan", "threshold", "frontier"):
+        assert rows_of(A.ranked(S.hits_of(store.search([q], 8, SPEC, walk, per_image=True)), 8)) == want
+
+
 def test_empty_table(spark, tiles):
     none = tiles.filter("false")
     for walk in ("threshold", "frontier"):
