@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_dir, table
+from .common import cut, shared_dir, table
 
 #: Fixed values of the format.
 END = "\r\n\r\n"
@@ -198,18 +198,20 @@ def merged_index(captures: DataFrame) -> DataFrame:
 def op9_web_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{shared_dir(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
     write_archives(table(spark, sf_dir, "pages"), path)
-    return merged_index(read_captures(spark, path)).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url_key", "captured")
+    captures = cut(read_captures(spark, path))  # the range exchange samples its input: archives are read once
+    return merged_index(captures).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 ORACLE = r"""
-WITH p AS (SELECT page_id, url, coalesce(html, '') h, sha1(coalesce(html, '')) d FROM pages),
-f AS (SELECT d, min(page_id) first FROM p GROUP BY d)
-SELECT page_id, payload_bytes, d AS sha1_hex, record_type, refers_to FROM (
-  SELECT page_id, CAST(strlen(h) AS BIGINT) payload_bytes, p.d,
-    CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END record_type,
-    CASE WHEN page_id <> first THEN first END refers_to
-  FROM p JOIN f ON p.d = f.d)
+WITH p AS (SELECT page_id, coalesce(html, '') h, sha1(coalesce(html, '')) d FROM pages),
+f AS (SELECT d, min(page_id) first FROM p GROUP BY d),
+b AS (SELECT d, first, array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+  ((CAST('0x' || substr(d, CAST(i * 5 // 4 + 1 AS BIGINT), 2) AS INTEGER) >> CAST(3 - i * 5 % 4 AS INTEGER)) & 31) + 1, 1)), '') payload_digest FROM f)
+SELECT page_id, CAST(strlen(h) AS BIGINT) payload_bytes, payload_digest,
+  CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END record_type,
+  CASE WHEN page_id <> first THEN first END refers_to
+FROM p JOIN b ON p.d = b.d
 """
 
 QUERIES = {"op9_web_archive": op9_web_archive}
-ORACLES: dict[str, str] = {}
+ORACLES = {"op9_web_archive": ORACLE}
