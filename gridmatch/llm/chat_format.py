@@ -135,8 +135,8 @@ def format_conversations(messages: DataFrame, nodes: DataFrame | None = None, ke
 
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
-    odd = "</s>[INST] ok [/INST]"
-    extra = spark.createDataFrame([(-1, 0, "user", odd), (-1, 1, "assistant", odd)], "conv_id long, turn long, role string, text string")
+    odd = "'</s>[INST] ok [/INST]'"
+    extra = spark.sql(f"SELECT * FROM VALUES (-1L, 0L, 'user', {odd}), (-1L, 1L, 'assistant', {odd}) AS t(conv_id, turn, role, text)")
     messages = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").union(extra)
     back = read_back(format_conversations(messages))
     digest = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")

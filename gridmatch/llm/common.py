@@ -27,23 +27,40 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a session without one (tests) gets one under /tmp."""
+    """The folder all executors share.  A local session without one (tests) gets one under /tmp; on
+    a cluster there must be one, as each executor's /tmp is its own."""
     at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         at = f"file:///tmp/gridmatch-{spark.sparkContext.applicationId}"
         spark.sparkContext.setCheckpointDir(at)
     return at
 
 
+#: Tables written by `cut` and not removed yet, oldest first.
+WRITTEN: list[str] = []
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Write `df` to a table in the shared folder and read it back: lineage ends there and a lost
     executor costs no recomputation of what came before."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/cut-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    WRITTEN.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def remove(spark: SparkSession, paths: list[str]) -> None:
+    """Delete tables of `cut` that nothing reads any more."""
+    for path in paths:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+        if path in WRITTEN:
+            WRITTEN.remove(path)
+
+
 def word_count(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
