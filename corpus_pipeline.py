@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridmatch.llm import near_duplicates, packing, source_mix, substring_dedup, toxicity
-from gridmatch.llm.common import cut, table
+from gridmatch.llm.common import WRITTEN, cut, remove, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,9 +55,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages; a stage's own tables, and the one before, go once its result is written."""
     docs = table(spark, sf_dir, "documents")
+    held = len(WRITTEN)
     for _, stage in STAGES:
         docs = cut(stage(spark, docs, sf_dir))
+        remove(spark, WRITTEN[held:-1])
     return docs
 
 
