@@ -94,22 +94,27 @@ class PackedIndex:
     lo: np.ndarray
     hi: np.ndarray
     counts: np.ndarray
+    unit: int = 1  # leaves to a box on the driver
 
     @classmethod
     def build(cls, tiles: DataFrame, leaf_rows: int = 256, method: str = "str") -> PackedIndex:
-        n = tiles.count()
-        leaf_rows = max(leaf_rows, n // (MAX_BOXES // 2) + 1)  # the driver's boxes stay bounded
-        leaf = saved((str_pack(tiles, leaf_rows, total=n) if method == "str" else morton_pack(tiles, leaf_rows)).repartitionByRange("leaf_id").sortWithinPartitions("leaf_id"))
-        return cls.of(leaf)
+        packed = str_pack(tiles, leaf_rows) if method == "str" else morton_pack(tiles, leaf_rows)
+        return cls.of(saved(packed.repartitionByRange("leaf_id").sortWithinPartitions("leaf_id")))
 
     @classmethod
-    def of(cls, leaf: DataFrame) -> PackedIndex:
-        f = feature_columns(leaf)
-        got = boxes(leaf).orderBy("leaf_id").limit(MAX_BOXES + 1).collect()
-        if len(got) > MAX_BOXES:
-            raise ValueError("more boxes than the driver may hold: pack larger leaves")
+    def of(cls, leaf: DataFrame, most: int = MAX_BOXES, fanout: int = 16) -> PackedIndex:
+        f, level, unit = feature_columns(leaf), boxes(leaf), 1
+        while len(got := level.orderBy("leaf_id").limit(most + 1).collect()) > most:  # `most` + 1 boxes at most
+            up = level.withColumn("leaf_id", F.expr(f"leaf_id DIV {fanout}")).groupBy("leaf_id")
+            level = up.agg(*[F.min(f"lo_{x}").alias(f"lo_{x}") for x in f], *[F.max(f"hi_{x}").alias(f"hi_{x}") for x in f], F.sum("n").alias("n"))
+            unit *= fanout
         col = lambda p: np.array([[float(x[f"{p}_{k}"]) for k in f] for x in got]).reshape(len(got), len(f))
-        return cls(leaf, np.array([x["leaf_id"] for x in got]), col("lo"), col("hi"), np.array([x["n"] for x in got]))
+        return cls(leaf, np.array([x["leaf_id"] for x in got]), col("lo"), col("hi"), np.array([x["n"] for x in got]), unit)
+
+    def inside(self, ids) -> DataFrame:
+        """The tiles of these boxes."""
+        box = F.col("leaf_id") if self.unit == 1 else F.expr(f"leaf_id DIV {self.unit}")
+        return self.leaf.filter(box.isin([int(i) for i in ids]))
 
     @property
     def rows(self) -> int:
@@ -130,7 +135,7 @@ class PackedIndex:
         near = self.mindist(query, spec).min(1) <= r
         rows = self.leaf
         if not near.all():
-            rows = rows.filter(F.col("leaf_id").isin(self.ids[near].tolist()))
+            rows = self.inside(self.ids[near])
         if np.isfinite(r):  # each feature lies within r of some query tile, whatever the metric
             for j, f in enumerate(feature_columns(rows)):
                 rows = rows.filter(F.col(f).between(F.lit(float(query.features[:, j].min() - r)), F.lit(float(query.features[:, j].max() + r))))
@@ -145,7 +150,7 @@ class PackedIndex:
             order = np.argsort(far, kind="stable")
             enough = np.searchsorted(np.cumsum(self.counts[order]), min(upto, self.rows))
             r = float(far[order[min(enough, len(order) - 1)]])
-            rows = pairs(self.leaf.filter(F.col("leaf_id").isin(self.ids[near <= r].tolist())).drop("leaf_id"), qt.filter(F.col("q") == i), spec.metric)
+            rows = pairs(self.inside(self.ids[near <= r]).drop("leaf_id"), qt.filter(F.col("q") == i), spec.metric)
             top = rows.filter(F.col("dist") <= r).orderBy("dist", "image_id", "r", "c").limit(upto)
             parts.append(top.withColumn("nn", F.row_number().over(Window.partitionBy("q").orderBy("dist", "image_id", "r", "c"))))
         out = parts[0]

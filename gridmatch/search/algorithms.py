@@ -116,7 +116,7 @@ def radius(tiles: DataFrame, query: Query, k: int, spec: ScoreSpec, index: Packe
     index = index or PackedIndex.build(tiles)
     canvases, qt = canvas(tiles), query_tiles(tiles.sparkSession, query)
     first = index.nearest_leaves(query, spec, 2 * query.n)
-    near = pairs(index.leaf.filter(F.col("leaf_id").isin(first)).drop("leaf_id"), qt, spec.metric)
+    near = pairs(index.inside(first).drop("leaf_id"), qt, spec.metric)
     seed = near.orderBy("dist", "image_id", "r", "c", "q").limit(4 * k * query.n)
     tau = kth(_solve(canvases, _alignments(seed), query, spec, solver), k)
     r = radius_for(query, spec, tau)

@@ -105,3 +105,16 @@ def test_walks_save_work(spark):
     q = Query(2, 5, f, np.full(10, 30.0))
     solved = {w: S.counters(store.search([q], 10, ScoreSpec("l1", 1, 5), w)).first()["solved"] for w in ("scan", "threshold", "frontier")}
     assert solved["threshold"] < 0.2 * solved["scan"] and solved["frontier"] < 0.2 * solved["scan"]
+
+
+def test_driver_holds_few_boxes(tiles):
+    from gridmatch.index.packed import PackedIndex
+    from gridmatch.overlap.placements import query_tiles
+
+    q = a_query(2, 2, 1)
+    fine = PackedIndex.build(tiles, leaf_rows=8)
+    coarse = PackedIndex.of(fine.leaf, most=20)
+    assert len(fine.ids) > 20 >= len(coarse.ids) and coarse.rows == fine.rows and coarse.unit == 16
+    near = lambda i: sorted(map(tuple, i.first_neighbours(q, query_tiles(tiles.sparkSession, q), SPEC, 9).select("q", "nn", "image_id", "r", "c").collect()))
+    assert near(coarse) == near(fine)
+    assert rows_of(A.radius(tiles, q, 5, SPEC, coarse).df) == rows_of(A.scan(tiles, q, 5, SPEC).df)
