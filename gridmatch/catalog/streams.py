@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..stream import tiles as S
+from ..tables import load
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -35,6 +36,15 @@ def stream_dedup(spark, d):
     return S.drained(S.deduplicated(twice), "append").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
+def stream_static_join(spark, d):
+    """Events as they come, joined with a table that does not change."""
+    known = load(spark, d, "customer", "c_custkey", "c_mktsegment")
+    joined = _events(spark, d).join(known, F.col("user_id") == F.col("c_custkey"))
+    return S.drained(joined.groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.sum(F.floor("value")).alias("v")))
+
+
+QUERIES |= {"stream_static_join": stream_static_join}
+ORACLES["stream_static_join"] = "SELECT c_mktsegment, count(*) n, CAST(sum(floor(value)) AS BIGINT) v FROM events JOIN customer ON user_id = c_custkey GROUP BY 1"
 QUERIES |= {"stream_tiles": stream_tiles, "stream_sliding": stream_sliding, "stream_sessions": stream_sessions, "stream_dedup": stream_dedup}
 ORACLES["stream_tiles"] = "SELECT user_id, strftime(time_bucket(INTERVAL 4 HOUR, ts, TIMESTAMP '2024-01-01'), '%Y-%m-%d %H:%M:%S') start, count(*) n, CAST(sum(floor(value)) AS BIGINT) v FROM events GROUP BY 1, 2"
 ORACLES["stream_sliding"] = "SELECT user_id, strftime(time_bucket(INTERVAL 4 HOUR, ts, TIMESTAMP '2024-01-01') - to_hours(CAST(4 * k AS INTEGER)), '%Y-%m-%d %H:%M:%S') start, count(*) n, CAST(sum(floor(value)) AS BIGINT) v FROM events, range(6) g(k) GROUP BY 1, 2"
