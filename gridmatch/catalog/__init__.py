@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES: tuple[str, ...] = ("regions", "searches", "experiments", "relational", "streams")
+MODULES: tuple[str, ...] = ("regions", "searches", "experiments", "relational", "streams", "files")
 
 
 def _gather(what: str) -> dict:

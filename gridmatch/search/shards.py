@@ -319,8 +319,9 @@ class Shards:
     features: int
 
     @classmethod
-    def build(cls, tiles: DataFrame, path: str | None = None, tiles_per_shard: int = TILES) -> Shards:
-        """Images are dealt to shards by a hash of their id; an image must fit in memory."""
+    def build(cls, tiles: DataFrame, path: str | None = None, tiles_per_shard: int = TILES, mode: str = "error") -> Shards:
+        """Images are dealt to shards by a hash of their id; an image must fit in memory.
+        `mode` says what to do about a store that `path` already holds, as for a write."""
         f = feature_columns(tiles)
         n = max(1, -(-tiles.count() // tiles_per_shard))
         dealt = tiles.select(F.pmod(F.xxhash64("image_id"), F.lit(n)).cast("int").alias("shard"), F.col("image_id").cast("long").alias("image_id"), F.col("r").cast("int").alias("r"), F.col("c").cast("int").alias("c"), *[F.col(x).cast("double").alias(x) for x in f])
@@ -335,12 +336,15 @@ class Shards:
         rows = dealt.groupBy("shard").applyInArrow(pack, STORED)
         if path is None:
             return cls(saved(rows), n, len(f))
-        rows.write.parquet(path)
+        rows.write.mode(mode).parquet(path)
         return cls.open(tiles.sparkSession, path)
 
     @classmethod
     def open(cls, spark: SparkSession, path: str) -> Shards:
-        rows = spark.read.schema(STORED).parquet(path)
+        return cls.of(spark.read.schema(STORED).parquet(path))
+
+    @classmethod
+    def of(cls, rows: DataFrame) -> Shards:
         one = rows.select((F.size("f") / F.size("r")).cast("int").alias("d")).first()
         return cls(rows, rows.count(), one["d"] if one else 0)
 

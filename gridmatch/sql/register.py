@@ -9,7 +9,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.functions import pandas_udf
+from pyspark.sql.functions import PandasUDFType, pandas_udf
 
 from ..region import solvers
 
@@ -27,15 +27,27 @@ REGION = "score double, n_cells int, mask long"
 
 def _solver(name: str):
     def solve(scores: pd.Series, h: pd.Series, w: pd.Series) -> pd.DataFrame:
-        out = []
-        for s, a, b in zip(scores, h, w):
-            v, m = solvers.solve(np.array([s], float), int(a), int(b), name)
-            out.append((float(v[0]), int(m[0]).bit_count(), int(m[0])))
-        return pd.DataFrame(out, columns=["score", "n_cells", "mask"])
+        score, mask = np.full(len(scores), np.nan), np.zeros(len(scores), np.int64)
+        for (a, b), at in pd.Series(range(len(scores))).groupby([h.to_numpy(), w.to_numpy()]).groups.items():
+            # matrices of one shape are solved together
+            score[at], mask[at] = solvers.solve(np.stack([np.asarray(scores.iloc[i], float) for i in at]), int(a), int(b), name)
+        return pd.DataFrame({"score": score, "n_cells": [int(m).bit_count() for m in mask], "mask": mask})
 
     return pandas_udf(solve, REGION)
 
 
+def _gathered(name: str, what: int, kind: str):
+    """The best region's score or mask as an aggregate over rows of cells (score, cell from 0, rows
+    and columns of the matrix); cells without a row or a score are missing."""
+
+    def solve(score: pd.Series, cell: pd.Series, h: pd.Series, w: pd.Series) -> float:
+        m = np.full((1, int(h.iloc[0]) * int(w.iloc[0])), np.nan)
+        m[0, cell.to_numpy(int)] = score.to_numpy(float)
+        return solvers.solve(m, int(h.iloc[0]), int(w.iloc[0]), name)[what][0].item()
+
+    return pandas_udf(solve, kind, PandasUDFType.GROUPED_AGG)
+
+
 class Overlaps:
     """Placements of an h x w query on an image of n_rows x n_cols."""
 
@@ -57,6 +69,8 @@ def register(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({parameters}) RETURNS {result} RETURN {body}")
     spark.udf.register("grid_best_region", _solver("corner_dp"))
     spark.udf.register("grid_exact_region", _solver("exact"))
+    spark.udf.register("grid_best_score_agg", _gathered("corner_dp", 0, "double"))
+    spark.udf.register("grid_best_mask_agg", _gathered("corner_dp", 1, "long"))
 
     def connected(mask: pd.Series, h: pd.Series, w: pd.Series) -> pd.Series:
         return pd.Series([solvers.is_connected(int(m), int(a), int(b)) for m, a, b in zip(mask, h, w)])
