@@ -194,7 +194,7 @@ def _piece_rows(docs: DataFrame, path: str, keep: list[str], with_ids: bool, end
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         ids = _IDS.get(path) or _IDS.setdefault(path, Ids(path))
-        for b in slices(batches, "_text", 8 << 20):
+        for b in slices(batches, "_text", 2 << 20):
             at, start, length, crc, total, kind, raw = [], [], [], [], [], [], []
             for i, own in enumerate(ids(b.column("_text"))):
                 own = memoryview(own + tail)
