@@ -67,3 +67,25 @@ def test_tree_reduction(points, length):
         s, side, weight = S.steiner_instance(points, 3, length + off)
         got, _ = S.exact_branch(s.ravel(), side, side)
         assert bool(got >= weight) is yes
+
+
+def test_empty_borders_and_sure_regions():
+    """Matrices that overhang are swept without their empty rows and columns, and sure ones not at all: as if swept whole."""
+    rng = np.random.default_rng(5)
+    m = (rng.integers(-6, 7, (3000, 5, 8)) + rng.integers(-4, 5, (3000, 1, 1))).astype(float)
+    for i, (r, c) in enumerate(rng.integers(0, 5, (3000, 2))):
+        m[i, :r] = m[i, :, : c * (i % 3)] = np.nan
+    m = m.reshape(3000, 40)
+    m = m[~np.isnan(m).all(1)]
+    swept = []
+    inner = S._sweeps
+    S._sweeps = lambda x, h, w, k: swept.append(x.size) or inner(x, h, w, k)
+    try:
+        score, mask, corner = S.corner_dp(m, 5, 8)
+    finally:
+        S._sweeps = inner
+    assert sum(swept) < 0.8 * m.size
+    s, k = S._sweeps(m, 5, 8, S.CORNERS)
+    for i in range(len(m)):
+        best = max(range(4), key=lambda j: (s[j, i], -int(k[j, i]).bit_count(), -int(k[j, i]), -j))
+        assert (score[i], mask[i], S.CORNERS[corner[i]]) == (s[best, i], k[best, i], S.CORNERS[best])
