@@ -61,6 +61,40 @@ def test_early_shards_set_a_floor(spark, tiles):
     assert rows_of(got) == rows_of(want)
 
 
+def test_early_shards_set_a_floor_for_pruned_scans(spark, tiles):
+    many = S.Shards.build(tiles, tiles_per_shard=10)
+    qs = [Query(2, 2, q.features, q.bg, i) for i, q in enumerate(a_query(2, 2, s) for s in range(3))]
+    found = {early: many.search(qs, 5, SPEC, "scan_pruned", per_image=True, early=early) for early in (None, True)}
+    want = rows_of(A.scan(tiles, qs, 5, SPEC, per_image=True).df)
+    assert rows_of(A.ranked(S.hits_of(found[None]), 5, single=False)) == rows_of(A.ranked(S.hits_of(found[True]), 5, single=False)) == want
+    c = [S.counters(found[early]).agg({"solved": "sum", "distances": "sum"}).first() for early in (None, True)]
+    assert c[1]["sum(solved)"] < c[0]["sum(solved)"] and c[0]["sum(distances)"] == c[1]["sum(distances)"]
+
+
+@pytest.mark.parametrize("size", [(1, 1), (2, 2), (1, 4), (3, 3)])
+def test_bounds_of_all_alignments(store, size):
+    for row in store.rows.collect():
+        space = S.Space(*(row[x] for x in ("ids", "sizes", "r", "c", "f", "place")))
+        for c in (2, 6, 40):
+            t = S.Task(space, a_query(*size), ScoreSpec("l1", 1, c), 5, "corner_dp", S.solvers.CORNERS, -np.inf)
+            t.measure()
+            assert np.allclose(t.bounds(), S.solvers.positive_sum(t.matrices(np.arange(t.first[-1]))))
+
+
+def test_files_of_a_store_hold_few_shards(tiles, tmp_path):
+    """A reader holds all rows of a file, up to some thousands, at once."""
+    many = S.Shards.build(tiles.repartition(1), f"{tmp_path}/store", tiles_per_shard=10)
+    assert many.n > 1
+    few = S.Shards.build(tiles.repartition(1), f"{tmp_path}/whole", tiles_per_shard=4 * S.TILES)
+    a_file = lambda x: max(r["count"] for r in x.rows.groupBy(S.F.input_file_name()).count().collect())
+    assert few.n == a_file(few) == 1
+    old, S.TILES = S.TILES, 5
+    try:
+        assert a_file(S.Shards.build(tiles.repartition(1), tiles_per_shard=10)) <= 2
+    finally:
+        S.TILES = old
+
+
 def test_best_of_each_image(tiles, store):
     q = a_query(2, 2, 5)
     want = rows_of(A.scan(tiles, q, 8, SPEC, per_image=True).df)
