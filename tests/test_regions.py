@@ -89,3 +89,19 @@ def test_empty_borders_and_sure_regions():
     for i in range(len(m)):
         best = max(range(4), key=lambda j: (s[j, i], -int(k[j, i]).bit_count(), -int(k[j, i]), -j))
         assert (score[i], mask[i], S.CORNERS[corner[i]]) == (s[best, i], k[best, i], S.CORNERS[best])
+
+
+@pytest.mark.parametrize(("h", "w"), [(1, 7), (2, 5), (4, 5), (5, 6), (5, 8), (7, 8)])
+@pytest.mark.parametrize("most", [3, 2_000, 10**7])
+def test_whole_scores_as_one_number(h, w, most):
+    """Sweeps of whole scores as numbers and of any scores agree, ties and missing cells included."""
+    rng = np.random.default_rng(h * w + most)
+    m = rng.integers(-most, most + 1, (300, h * w)).astype(float)
+    m[rng.random(m.shape) < 0.1] = np.nan
+    m = m[(m > 0).any(1)]
+    got, want = S._corner_dp(m, h, w, S.CORNERS, 0, h, 0, w), S._best_corner(m, h, w, S.CORNERS)
+    assert all(np.array_equal(x, y) for x, y in zip(got, want))
+    here = ~np.isnan(m)
+    if h * w * most < 2 ** (54 - h * w):
+        key = S._key_sweeps(np.where(here, m, 0).astype(np.int64), here, h, w, S.CORNERS).max(0)
+        assert np.array_equal(key >> h * w + 6, want[0])

@@ -81,6 +81,25 @@ def test_bounds_of_all_alignments(store, size):
             assert np.allclose(t.bounds(), S.solvers.positive_sum(t.matrices(np.arange(t.first[-1]))))
 
 
+@pytest.mark.parametrize("how", [{}, {"wave": 4}, {"wave": 8, "defer": False}, {"wave": 1, "growing": False}])
+def test_pairs_aside_change_nothing(store, monkeypatch, how):
+    """The frontier's rows and counters are those of a walk that keeps all pairs together."""
+
+    def walked(limit):
+        out = []
+        for row in store.rows.collect():
+            space = S.Space(*(row[x] for x in ("ids", "sizes", "r", "c", "f", "place")))
+            for floor in (-np.inf, 20.0):
+                t = S.Task(space, a_query(2, 3, 1), SPEC, 5, "corner_dp", S.solvers.CORNERS, floor)
+                monkeypatch.setattr(S.Task, "reach", limit)
+                S.frontier(t, **how)
+                out.append((t.score.tolist(), t.mask.tolist(), t.at.tolist(), t.count))
+        return out
+
+    usual = S.Task.reach
+    assert walked(usual) == walked(lambda t, most, score: (-1.0, np.inf)) == walked(lambda t, most, score: (-1.0, 2.0))
+
+
 def test_files_of_a_store_hold_few_shards(tiles, tmp_path):
     """A reader holds all rows of a file, up to some thousands, at once."""
     many = S.Shards.build(tiles.repartition(1), f"{tmp_path}/store", tiles_per_shard=10)
