@@ -171,3 +171,14 @@ def test_driver_holds_few_boxes(tiles):
     near = lambda i: sorted(map(tuple, i.first_neighbours(q, query_tiles(tiles.sparkSession, q), SPEC, 9).select("q", "nn", "image_id", "r", "c").collect()))
     assert near(coarse) == near(fine)
     assert rows_of(A.radius(tiles, q, 5, SPEC, coarse).df) == rows_of(A.scan(tiles, q, 5, SPEC).df)
+
+
+def test_a_few_shards_go_out_in_copies(spark, tiles):
+    """One shard's queries are walked by several tasks, and each query once."""
+    one = S.Shards.build(tiles)
+    assert one.n == 1
+    qs = [Query(2, 2, q.features, q.bg, i) for i, q in enumerate(a_query(2, 2, s) for s in range(6))]
+    found = one.walk(one.rows, qs, 5, SPEC, "scan", "corner_dp", S.solvers.CORNERS, {}, False, {})
+    assert found.rdd.getNumPartitions() == 6
+    assert rows_of(A.ranked(S.hits_of(found), 5, single=False)) == rows_of(A.scan(tiles, qs, 5, SPEC).df)
+    assert sorted(x["query_id"] for x in S.counters(found).collect()) == list(range(6))
